@@ -64,7 +64,54 @@ from j
 """
 
 
+REVISITS = """
+with p as (
+  select page_id, md5(coalesce(html, '')) as d,
+    regexp_replace(regexp_replace(lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)), '^www\\.', ''), ':(80|443)$', '') as host,
+    regexp_replace(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*([^?#]*)', 1), '/+$', '') as path,
+    list_sort(list_filter(string_split(regexp_extract(url, '^[^?#]*\\?([^#]*)', 1), '&'), lambda x: x <> '' and not regexp_matches(x, '^(utm_[a-z]+|ref|fbclid|gclid|sessionid)(=|$)'))) as asked
+  from pages
+), k as (
+  select page_id, d, host || path || case when len(asked) > 0 then '?' || array_to_string(asked, '&') else '' end as url_key from p
+), full_ as (select page_id * 2 as id, page_id * 60 as ts, d, url_key from k),
+again as (select page_id * 2 + 1 as id, (page_id + 1000) * 60 + 30 as ts, d, url_key from k),
+best as (
+  select a.id, a.ts, a.d, a.url_key, max_by(f.id, f.ts) as rid, max_by(f.d, f.ts) as rd, max_by(f.ts, f.ts) as rts
+  from again a left join full_ f on a.url_key = f.url_key and f.ts < a.ts group by all
+)
+select id as record_id, url_key, case when rid is null then 'no_response' when rd = d then 'resolved' else 'changed' end as status, rid as response_id,
+  case when rd = d then rd end as payload_digest,
+  case when rd = d then 'content-type=text/html;date=' || ts || ';etag="' || rd || '"' end as headers
+from best
+"""
+
+
+def sentence_spans(span: int = 3, min_words: int = 8) -> str:
+    trimmed = lambda x: f"regexp_replace({x}, '^{BLANK}+|{BLANK}+$', '', 'g')"
+    ends = lambda x: f"regexp_replace({x}, '([.!?]{BLANK})([^\\x01\\x20\\x09-\\x0D])', '\\1' || chr(1) || '\\2', 'g')"
+    run = " || chr(10) || ".join(f"lead(s, {k}) over w" if k else "s" for k in range(span))
+    return f"""
+with t as (select doc_id, regexp_replace(coalesce(text, ''), '(\\n)([^\\n])', '\\1' || chr(1) || '\\2', 'g') as a from documents),
+ps as (select doc_id, string_split({ends(ends("a"))}, chr(1)) as ps from t),
+p as (select doc_id, unnest(ps) as p, unnest(range(1, len(ps) + 1)) as i from ps),
+s as (select doc_id, p, i, {trimmed("p")} as s from p),
+f as (select * from s where s <> ''),
+r as (select doc_id, i as a, lead(i, {span - 1}) over w as b, {run} as h from f window w as (partition by doc_id order by i)),
+g as (select *, row_number() over (partition by h order by doc_id, a) as place from r where b is not null and len(string_split_regex(h, '{BLANK}+')) >= {min_words}),
+gone as (select distinct g.doc_id, f.i from g join f on f.doc_id = g.doc_id and f.i between g.a and g.b where g.place > 1),
+m as (select s.*, gone.i is not null as gone from s left join gone using (doc_id, i)),
+c as (select doc_id, i, gone and not coalesce(lag(gone) over (partition by doc_id order by i), false) as starts from m where s <> ''),
+n as (select doc_id, count(*) as n_sentences, sum(case when gone then 1 else 0 end)::bigint as n_removed from m where s <> '' group by 1),
+v as (select doc_id, sum(case when starts then 1 else 0 end)::bigint as n_spans from c group by 1),
+k as (select doc_id, coalesce(string_agg(case when not gone then p end, '' order by i), '') as kept from m group by 1)
+select k.doc_id, coalesce(n_sentences, 0) as n_sentences, coalesce(n_removed, 0) as n_removed, coalesce(n_spans, 0) as n_spans, sha256(kept) as kept_sha256
+from k left join n using (doc_id) left join v using (doc_id)
+"""
+
+
 ORACLES = {
+    "op3_revisit_resolution": REVISITS,
     "op4_exact_dedup": EXACT_DEDUP,
     "op5_quality_rules": quality_rules(),
+    "op7_sentence_spans": sentence_spans(),
 }
