@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulelattice.llm import exact_dedup, packing, quality_rules, secret_scan, sentence_spans, warc
+from rulelattice.llm import bpe, exact_dedup, packing, quality_rules, secret_scan, sentence_spans, warc
 from rulelattice.llm.common import table
 from rulelattice.llm.oracles import ORACLES
 
@@ -42,8 +42,14 @@ def op7_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", "n_sentences", "n_removed", "n_spans", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op10_bpe_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    return bpe.round_trip_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
 def queries() -> dict[str, Query]:
-    own = (op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans)
+    own = (op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op10_bpe_merge_replay)
     return {f.__name__: f for f in own}
 
 
