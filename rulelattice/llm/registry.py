@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulelattice.llm import bpe, exact_dedup, packing, quality_rules, secret_scan, sentence_spans, simhash, warc
+from rulelattice.llm import bpe, exact_dedup, langid, packing, quality_rules, secret_scan, sentence_spans, simhash, warc
 from rulelattice.llm.common import table
 from rulelattice.llm.oracles import ORACLES
 
@@ -42,6 +42,11 @@ def op7_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", "n_sentences", "n_removed", "n_spans", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return langid.predict(docs, langid.fit(docs))
+
+
 def op9_simhash_pivots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -53,7 +58,7 @@ def op10_bpe_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    own = (op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op9_simhash_pivots, op10_bpe_merge_replay)
+    own = (op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op8_language_id, op9_simhash_pivots, op10_bpe_merge_replay)
     return {f.__name__: f for f in own}
 
 
