@@ -7,13 +7,17 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulelattice.llm import bpe, exact_dedup, langid, packing, quality_rules, secret_scan, sentence_spans, simhash, warc
+from rulelattice.llm import bpe, exact_dedup, langid, packing, quality_rules, secret_scan, sentence_spans, simhash, suffix_dedup, warc
 from rulelattice.llm.common import table
 from rulelattice.llm.oracles import ORACLES
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_later_copies(table(spark, sf_dir, "documents"), kept_text=False)
+
+
 def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
@@ -58,7 +62,7 @@ def op10_bpe_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    own = (op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op8_language_id, op9_simhash_pivots, op10_bpe_merge_replay)
+    own = (op1_suffix_dedup, op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op8_language_id, op9_simhash_pivots, op10_bpe_merge_replay)
     return {f.__name__: f for f in own}
 
 
