@@ -61,8 +61,14 @@ def op10_bpe_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    own = (op1_suffix_dedup, op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op8_language_id, op9_simhash_pivots, op10_bpe_merge_replay)
+    own = (op1_suffix_dedup, op2_best_fit_packing, op3_revisit_resolution, op4_exact_dedup, op5_quality_rules, op6_secret_scan, op7_sentence_spans, op8_language_id, op9_simhash_pivots, op10_bpe_merge_replay, pipeline)
     return {f.__name__: f for f in own}
 
 

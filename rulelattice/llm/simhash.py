@@ -2,7 +2,7 @@
 
 A fingerprint has the bits that more than half of a text's shingle hashes have. Equal fingerprints
 are brought together first, so that copies count once. Two fingerprints within ``radius`` bits agree
-in all but ``radius`` of ``BLOCKS`` blocks of bits, so they meet under the key of some choice of blocks.
+in three of ``radius + 3`` blocks of bits, so they meet under the key of some choice of blocks.
 Under each key a table of Hamming distances to reference fingerprints (pivots) is laid out: two
 fingerprints whose distances to any pivot differ by more than the radius cannot be close (triangle
 inequality) and are discarded; the others are compared bit by bit. Keys with very many fingerprints
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from itertools import combinations
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -29,10 +30,11 @@ from pyspark.sql import functions as F
 from rulelattice.llm.common import cut
 from rulelattice.llm.components import components
 
-BLOCKS = 5
+#: Blocks in which two close fingerprints must agree, and so the blocks beyond the radius.
+AGREED = 3
 PIVOTS = 24
-#: Keys with more fingerprints are searched by flipping bits.
-MOST_PAIRED = 2048
+#: A key is searched by flipping bits where it has so many times more fingerprints than there are flips.
+FLIP_RATIO = 10
 #: Pairs that are compared at once.
 PAIRS_AT_ONCE = 2_000_000
 SEED = 42
@@ -66,11 +68,12 @@ def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_c
     return docs.select(id_col, text_col).mapInArrow(rows, f"doc_id {dict(docs.dtypes)[id_col]}, fp long")
 
 
-def masks(radius: int, blocks: int = BLOCKS) -> list[int]:
-    """Bits of every choice of blocks that a close pair may agree in; radius zero: all bits."""
+def masks(radius: int) -> list[int]:
+    """Bits of every choice of blocks that a close pair may agree in."""
+    blocks = radius + AGREED
     edges = [round(i * 64 / blocks) for i in range(blocks + 1)]
     own = [((1 << (b - a)) - 1) << a for a, b in zip(edges, edges[1:], strict=False)]
-    return [sum(c) for c in combinations(own, blocks - radius)]
+    return [sum(c) for c in combinations(own, AGREED)]
 
 
 def pivots(count: int = PIVOTS) -> np.ndarray:
@@ -135,10 +138,11 @@ def _linked(kind: np.ndarray, key: np.ndarray, prints: np.ndarray, radius: int,
     starts = np.flatnonzero(new)
     sizes = np.diff(np.r_[starts, len(key)])
     pairs = []
-    small = (sizes > 1) & (sizes <= MOST_PAIRED)
+    most = FLIP_RATIO * min(sum(comb(64 - m.bit_count(), k) for k in range(1, radius + 1)) for m in choice)
+    small = (sizes > 1) & (sizes <= most)
     if small.any():
         pairs += list(close_pairs(prints, starts[small], sizes[small], radius, pivots()))
-    for s, n in zip(starts[sizes > MOST_PAIRED].tolist(), sizes[sizes > MOST_PAIRED].tolist(), strict=True):
+    for s, n in zip(starts[sizes > most].tolist(), sizes[sizes > most].tolist(), strict=True):
         free = ~choice[int(kind[s])] & ((1 << 64) - 1)
         pairs += [(a + s, b + s) for a, b in flipped_pairs(prints[s : s + n], free, radius)]
     if not pairs:
