@@ -59,13 +59,13 @@ def fingerprint(text: str | None, words: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp): the fingerprint of every row as a signed long."""
+    """(doc_id, th, fp): every row's id, a hash of its text, and its fingerprint as a signed long."""
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values = np.array([fingerprint(t, words) for t in batch.column(1).to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values)], ["doc_id", "fp"])
+            values = np.array([fingerprint(t, words) for t in batch.column(2).to_pylist()], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(values)], ["doc_id", "th", "fp"])
 
-    return docs.select(id_col, text_col).mapInArrow(rows, f"doc_id {dict(docs.dtypes)[id_col]}, fp long")
+    return docs.select(F.col(id_col), F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, f"doc_id {dict(docs.dtypes)[id_col]}, th long, fp long")
 
 
 def masks(radius: int) -> list[int]:
@@ -168,25 +168,30 @@ def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     return keyed.repartition("kind", "key").select("fp", "kind", "key").mapInArrow(rows, "a long, b long")
 
 
+def _named(prints: DataFrame, radius: int) -> tuple[DataFrame, DataFrame]:
+    """Fingerprints with their component's root, and roots with the row (id, text hash) that is first in it."""
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), F.col("doc_id").alias("id"), F.col("th").alias("th")))
+    classes = prints.groupBy("fp").agg(first.alias("least"))
+    roots = components(links(classes.select("fp"), radius)).select(F.col("node").alias("fp"), "root")
+    placed = classes.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    return placed.select("fp", "root"), placed.groupBy("root").agg(F.min("least").alias("least"))
+
+
 def near_duplicates(docs: DataFrame, radius: int = 2, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id``, ``fingerprint`` (hex) and ``component_id`` (smallest id reachable)."""
     prints = cut(fingerprints(docs, words, id_col, text_col))
-    classes = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    roots = components(links(classes.select("fp"), radius)).select(F.col("node").alias("fp"), "root")
-    placed = classes.join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    named = placed.groupBy("root").agg(F.min("least").alias("component_id"))
-    classed = placed.join(named.select(F.shiftleft("root", 0).alias("_r"), "component_id"), F.col("root") == F.col("_r"))
+    placed, named = _named(prints, radius)
+    classed = placed.join(named.select(F.shiftleft("root", 0).alias("_r"), F.col("least.id").alias("component_id")), F.col("root") == F.col("_r"))
     result = prints.join(classed.select(F.shiftleft("fp", 0).alias("_f"), "component_id"), F.col("fp") == F.col("_f"))
     return result.select(F.col("doc_id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def one_of_each(docs: DataFrame, radius: int = 2, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One document of each component, the one with the smallest id, with all its columns.
-
-    Repeated ids and null ids are told apart by the fingerprint and, last, kept once each.
-    """
-    found = near_duplicates(docs, radius, words, id_col, text_col)
-    stay = found.where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(F.col(id_col).alias("_stay")).groupBy("_stay").agg(F.count("*").alias("_times"))
-    kept = docs.join(stay, docs[id_col].eqNullSafe(stay["_stay"]))
+    """One document of each component, the one with the smallest id (a null id is last), with all its columns."""
+    prints = cut(fingerprints(docs, words, id_col, text_col))
+    winners = _named(prints, radius)[1].select(F.col("least.id").alias("_id"), F.col("least.th").alias("_th"))
+    repeated = prints.groupBy("doc_id", "th").agg(F.count("*").alias("_times")).where("_times > 1").select(F.col("doc_id").alias("_rid"), F.col("th").alias("_rth"), "_times")
+    marked = winners.join(repeated, winners["_id"].eqNullSafe(repeated["_rid"]) & (winners["_th"] == repeated["_rth"]), "left").select("_id", "_th", F.coalesce("_times", F.lit(1)).alias("_times"))
+    kept = docs.join(marked, docs[id_col].eqNullSafe(marked["_id"]) & (F.xxhash64(docs[text_col]) == marked["_th"]))
     once = kept.where("_times = 1").select(*docs.columns)
-    return once.unionByName(kept.where("_times > 1").dropDuplicates([id_col]).select(*docs.columns))
+    return once.unionByName(kept.where("_times > 1").dropDuplicates(["_id", "_th"]).select(*docs.columns))
