@@ -53,6 +53,14 @@ def subset_counts(ds: Dataset, candidates: DataFrame, k: int) -> DataFrame:
     return made.join(F.broadcast(candidates.select("cid", "items")), "items").groupBy("cid").agg(F.count("*").alias("support"))
 
 
+def pair_counts(ds: Dataset, need: int, allowed: list[int] | None = None) -> DataFrame:
+    """(a, b, support) of all pairs that occur and reach ``need``, without a list of candidates."""
+    tx = ds.tx if allowed is None else ds.tx.select(F.array_intersect("items", F.array(*map(F.lit, allowed)).cast("array<int>")).alias("items"))
+    firsts = tx.select("items", F.posexplode("items").alias("p", "a"))
+    pairs = firsts.select("a", F.explode(F.slice("items", F.col("p") + 2, F.greatest(F.size("items"), F.lit(1)))).alias("b"))
+    return pairs.groupBy("a", "b").agg(F.count("*").alias("support")).where(F.col("support") >= need)
+
+
 def chosen_kernel(ds: Dataset, sets: list[Itemset]) -> str:
     width = sum(32 + 12 * len(s) for s in sets)
     if width > BROADCAST_BYTES:

@@ -15,13 +15,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rulelattice.operators.candidates import Itemset, join_step, joined, prune_step
-from rulelattice.operators.counting import count_sets
+from rulelattice.operators.counting import count_sets, pair_counts
 from rulelattice.operators.items import Dataset
 from rulelattice.operators.ledger import Ledger
 from rulelattice.plans.normalform import SetConj
 from rulelattice.runtime import LOCAL_CANDIDATES, cut
 
 
+#: Pairs from which the second level is counted without listing them.
+MANY_PAIRS = 100_000
+
+
 class TooManyCandidates(ValueError):
     """A level has more candidates than allowed; add constraints or raise the minimal support."""
 
@@ -72,6 +76,11 @@ def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: s
                 ledger.record(k=level, disjunct=at, generated=len(rests), infrequent=len(rests) - len(good), frequent=len(good))
             if not good or max_k is not None and len(b.whole(good[0])) >= max_k:
                 offers[at] = []
+            elif not b.pos and len(good[0]) == 1 and len(good) * (len(good) - 1) // 2 > MANY_PAIRS:
+                pairs = _many_pairs(ds, b, max_candidates)
+                found[at].update(pairs)
+                ledger.record(k=level + 1, disjunct=at, generated=len(good) * (len(good) - 1) // 2, frequent=len(pairs))
+                offers[at] = [] if max_k == 2 else joined(pairs)
             elif good == [()]:
                 offers[at] = [(i,) for i in b.allowed]
             else:
@@ -81,6 +90,16 @@ def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: s
     return [{s: n for s, n in f.items() if b.conj.sup_hi is None or n < b.conj.sup_hi} for b, f in zip(branches, found, strict=True)]
 
 
+def _many_pairs(ds: Dataset, b: Branch, most: int) -> dict[Itemset, int]:
+    """Frequent pairs of a disjunct without required items; at most ``most`` come to the driver."""
+    ds.scans += 1
+    barred = any(i in ds.code for i in b.conj.neg)
+    rows = pair_counts(ds, b.need, b.allowed if barred else None).limit(most + 1).collect()
+    if len(rows) > most:
+        raise TooManyCandidates(f"over {most} frequent pairs")
+    return {(r["a"], r["b"]): int(r["support"]) for r in rows}
+
+
 def frequent_sets(ds: Dataset, minsup: int, kernel: str = "auto", ledger: Ledger | None = None, max_k: int | None = None, max_candidates: int = LOCAL_CANDIDATES) -> dict[Itemset, int]:
     """All frequent itemsets: the unconstrained search."""
     return mine_set_query(ds, [SetConj(sup_lo=minsup)], minsup, kernel, ledger, max_k, max_candidates)[0]
