@@ -43,13 +43,20 @@ class Dataset:
         if self._bitmaps is None:
             nid = F.col("nid") + 1
             each = self.tx.select(F.bitmap_bucket_number(nid).alias("block"), F.bitmap_bit_position(nid).alias("at"), F.explode("items").alias("iid"))
-            self._bitmaps = each.groupBy("block", "iid").agg(F.bitmap_construct_agg("at").alias("bm")).repartition("block").persist()
+            parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+            made = each.groupBy("block", "iid").agg(F.bitmap_construct_agg("at").alias("bm"))
+            # Without adaptive execution a checkpoint knows its partitioning by block, so that no later
+            # grouping by block moves a bitmap.
+            adaptive = self.spark.conf.get("spark.sql.adaptive.enabled")
+            self.spark.conf.set("spark.sql.adaptive.enabled", "false")
+            try:
+                self._bitmaps = cut(made.repartition(parts, "block"))
+            finally:
+                self.spark.conf.set("spark.sql.adaptive.enabled", adaptive)
         return self._bitmaps
 
     def release(self) -> None:
-        if self._bitmaps is not None:
-            self._bitmaps.unpersist()
-            self._bitmaps = None
+        self._bitmaps = None
 
     def named(self, codes: tuple[int, ...]) -> list[str]:
         return sorted(self.names[i] for i in codes)

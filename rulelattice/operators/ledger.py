@@ -29,7 +29,10 @@ class Ledger:
 
 def cumulative(ledger: DataFrame, metric: str) -> DataFrame:
     """Running total of a measure by strategy and query."""
-    each = ledger.where(F.col("metric") == metric).groupBy("session", "strategy", "query").agg(F.sum("value").alias("value"))
+    spent = ledger.where(F.col("metric") == metric).groupBy("session", "strategy", "query").agg(F.sum("value").alias("value"))
+    # A strategy that spends nothing on a query still has its total there.
+    queries, strategies = ledger.select("session", "query").distinct(), ledger.select("session", "strategy").distinct()
+    each = queries.join(strategies, "session").join(spent, ["session", "strategy", "query"], "left").fillna(0.0, ["value"])
     w = Window.partitionBy("session", "strategy").orderBy("query").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return each.withColumn("total", F.sum("value").over(w))
 
