@@ -120,6 +120,17 @@ class Replay:
                 first = np.flatnonzero(~linked)
                 places = places[(np.arange(len(places)) - first[runs]) % 2 == 0]
             right = after[places]
+            own = word_at[places]
+            if (own[1:] == own[:-1]).any():
+                # A pre-token in which one of these merges would at once open a pair of a lower rank.
+                beyond, left, merged = after[right], before[places], np.full(len(places), r)
+                opens = (beyond < total) & (self.rank_of(merged, token[np.minimum(beyond, total - 1)]) < r)
+                opens |= (left >= 0) & (self.rank_of(token[np.maximum(left, 0)], merged) < r)
+                beside = np.r_[beyond[:-1] == places[1:], False]
+                opens |= beside & (self.rank_of(merged, merged) < r)
+                if opens.any():
+                    held, times = np.unique(own, return_counts=True)
+                    odd.update(np.intersect1d(held[times > 1], own[opens]).tolist())
             token[places] = r
             alive[right] = False
             rank[right] = NONE
@@ -134,10 +145,6 @@ class Replay:
             rank[left] = self.rank_of(token[left], token[after[left]])
             touched = np.unique(np.r_[places, left])
             enter(touched)
-            lower = touched[rank[touched] <= r]
-            if len(lower) and len(places) > 1:
-                own, times = np.unique(word_at[places], return_counts=True)
-                odd.update(np.intersect1d(own[times > 1], word_at[lower]).tolist())
         flat, counts = token[alive], np.bincount(word_at[alive], minlength=len(words))
         if odd:
             lists = np.split(flat, np.cumsum(counts)[:-1])
