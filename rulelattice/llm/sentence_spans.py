@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import SPACE, let
+from rulelattice.llm.common import SPACE, cut, let
 
 #: Zero-width places between sentences; what they cut keeps every character.
 BOUNDARY = rf"(?<=[.!?][{SPACE}])(?=[^{SPACE}])|(?<=\n)(?=[^\n])"
@@ -55,7 +55,8 @@ def repeated_sentences(docs: DataFrame, span: int = SPAN, min_words: int = MIN_W
     """For each document with repeats, its key and the places of the sentences to remove."""
     all_spans = spans(docs, span, min_words, id_col, text_col)
     often = all_spans.groupBy("h1", "h2").count().where("count > 1").select(F.col("h1").alias("_a"), F.col("h2").alias("_b"))
-    again = all_spans.join(often.withColumn("_a", F.shiftleft("_a", 0)), (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).drop("_a", "_b")
+    # Two uses follow; the repeated spans alone are written, so texts are not split again for each.
+    again = cut(all_spans.join(often.withColumn("_a", F.shiftleft("_a", 0)), (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).drop("_a", "_b"))
     at = F.struct(F.col("_id"), F.col("_th"), F.col("first"))
     first = again.groupBy("h1", "h2").agg(F.min(at).alias("_first")).select(F.shiftleft("h1", 0).alias("_a"), F.col("h2").alias("_b"), "_first")
     later = again.join(first, (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).where(~at.eqNullSafe(F.col("_first")))
