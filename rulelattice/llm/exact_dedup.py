@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import SPACE, fresh_key
+from rulelattice.llm.common import SPACE, cut, fresh_key
 
 
 def normalised(text: Column) -> Column:
@@ -40,9 +40,16 @@ def colliding_hashes(docs: DataFrame, text_col: str = "text") -> DataFrame:
 
 
 def _classes(rows: DataFrame, collided: DataFrame) -> DataFrame:
-    """Rows (id, n, class, sha), each distinct one once with its multiplicity."""
-    marked = rows.join(collided.select("_h", F.lit(True).alias("_hit")), "_h", "left")
-    keyed = marked.select("_id", "_n", "_sha", F.when(F.col("_hit"), F.concat("_h", F.lit("+"), "_sha")).otherwise(F.col("_h")).alias("_class"))
+    """Rows (id, n, class, sha), each distinct one once with its multiplicity.
+
+    Only where some hash does collide are rows joined with those hashes.
+    """
+    name = F.col("_h")
+    collided = cut(collided)
+    if not collided.isEmpty():
+        rows = rows.join(collided.select("_h", F.lit(True).alias("_hit")), "_h", "left")
+        name = F.when(F.col("_hit"), F.concat("_h", F.lit("+"), "_sha")).otherwise(F.col("_h"))
+    keyed = rows.select("_id", "_n", "_sha", name.alias("_class"))
     return keyed.groupBy("_id", "_n", "_sha", "_class").agg(F.count("*").alias("_times"))
 
 

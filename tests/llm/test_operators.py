@@ -442,3 +442,10 @@ def test_pipeline_equals_brute_force(spark, docs):
     want = {c for _, _, c in groups}
     got = corpus_pipeline.run(spark, "/root/testdata/sf0.001")
     assert {r["doc_id"] for r in got.collect()} == want
+
+
+def test_op4_tells_colliding_hashes_apart(spark, odd):
+    rows = exact_dedup._hashed(odd, "doc_id", "text")
+    one = rows.where("_id = 5").select("_h").distinct()
+    assert exact_dedup._classes(rows, one).where("_class like '%+%'").count() == 1
+    assert exact_dedup.colliding_hashes(odd).count() == 0
