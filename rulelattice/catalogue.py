@@ -19,15 +19,15 @@ from rulelattice.operators import baselines, families, incremental, levelwise, p
 from rulelattice.operators.counting import count_sets
 from rulelattice.operators.integrated import MiningOptions, generated_sets, query_rules, query_sets
 from rulelattice.operators.items import Dataset, encode, item_supports, profile, sets_table, shown
-from rulelattice.operators.ledger import Ledger, cutoff
+from rulelattice.operators.ledger import cutoff, saturation
 from rulelattice.operators.session import Session
 from rulelattice.operators.store import ItemsetStore
-from rulelattice.plans.algebra import And, Expr, MinConfidence, Not, Or, parse_query, to_sql
-from rulelattice.plans.normalform import RuleConj, SetConj, rule_disjuncts, set_disjuncts
+from rulelattice.plans.algebra import And, Expr, MinConfidence, Not, parse_query, to_sql
+from rulelattice.plans.normalform import SetConj, rule_disjuncts, set_disjuncts
 from rulelattice.runtime import read_table, shared_dir
 from rulelattice.sources.views import pairs_of
 from rulelattice.streaming.streams import SupportStream, gap_sessions, stream_transactions
-from rulelattice.workload import compare_strategies, load, pattern_ratios, random_queries, run_session
+from rulelattice.workload import ceil_share, characteristics, compare_strategies, load, pattern_ratios, random_queries, run_session
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -206,7 +206,6 @@ def families_example(spark, sf_dir):
 def _family(role: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
-        conj = RuleConj(frozenset(["big=y"]), frozenset(["neg=n"]), frozenset(), frozenset(["neg=y"]), minsup)
         conj = rule_disjuncts(parse_query(f"body('big=y') and not body('neg=n') and not head('neg=y') and support >= {minsup}"))[0]
         found = levelwise.mine_set_query(ds, set_disjuncts([conj]), minsup)[0]
         table = families.families(ds, found, [conj])
@@ -310,8 +309,6 @@ select array_to_string(u.items, '|') as itemset, len(u.items)::int as k, coalesc
 @query(_subsets_sql())
 def topdown_sets(spark, sf_dir):
     ds, _ = load(spark, sf_dir, "dense_order", Fraction(1, 10**9))
-    from rulelattice.workload import ceil_share
-
     return _sets(ds, baselines.topdown_sets(ds, _UNIVERSE, ceil_share(DENSE, ds.size)))
 
 
@@ -456,12 +453,9 @@ def missing_families(spark, sf_dir):
 
 @query()
 def w1_characteristics(spark, sf_dir):
-    from rulelattice.workload import characteristics
-
     return characteristics(spark, sf_dir, {"dense_order": DENSE, "clicks": CLICKS, "basket_part": PART, "doc_terms": TERMS}).drop("seconds")
 
 
-_W2_SQL = f"with recursive {O.sets_cte('dense_order', DENSE)}, splits as (select distinct items from sets) " + "select 0"
 _W2 = random_queries(DENSE_ITEMS, 10, seed=11)
 
 
@@ -484,8 +478,6 @@ def w4_saturation(spark, sf_dir):
     ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
     everything = len(levelwise.frequent_sets(ds, minsup))
     session = run_session(ds, random_queries(DENSE_ITEMS, 10, seed=31), "incremental", minsup)
-    from rulelattice.operators.ledger import saturation
-
     return saturation(session.ledger.df(spark), everything).select("query", "share")
 
 
@@ -582,10 +574,3 @@ def queries() -> dict[str, Query]:
 def oracle_sql() -> dict[str, str]:
     return dict(_ORACLES)
 
-
-def any_of(parts: list[Expr]) -> Expr:
-    return Or(tuple(parts))
-
-
-def ledger_of(session: Session) -> Ledger:
-    return session.ledger

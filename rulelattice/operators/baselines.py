@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from itertools import combinations
-
 import pandas as pd
 from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import DataFrame
@@ -13,7 +10,8 @@ from pyspark.sql import functions as F
 from rulelattice.operators.candidates import Itemset, joined
 from rulelattice.operators.counting import count_sets
 from rulelattice.operators.items import Dataset
-from rulelattice.operators.levelwise import frequent_sets, named_table
+from rulelattice.operators.levelwise import frequent_sets, mine_set_query, named_table
+from rulelattice.plans.normalform import SetConj
 
 
 def fpgrowth(ds: Dataset, minsup: int) -> DataFrame:
@@ -101,9 +99,6 @@ def divide_and_mine(ds: Dataset, minsup: int, parts: int, kernel: str = "auto")
 
     Items are taken by rising support and grouped into runs of about equal support.
     """
-    from rulelattice.operators.levelwise import mine_set_query
-    from rulelattice.plans.normalform import SetConj
-
     order = sorted((i for i in range(len(ds.names)) if ds.supports[i] >= minsup), key=lambda i: (ds.supports[i], ds.names[i]))
     conjs = [SetConj(frozenset([ds.names[i]]), frozenset(ds.names[j] for j in order[:at]), minsup) for at, i in enumerate(order)]
     total, share, runs = sum(ds.supports[i] for i in order), 0, [[] for _ in range(parts)]
@@ -144,6 +139,3 @@ def topdown_rules(sets: dict[Itemset, int], max_conf_n: int, max_conf_d: int) ->
             level = {h for h in smaller if all(tuple(sorted((*h, i))) in below for i in s if i not in h and len(h) + 1 < len(s))}
     return out
 
-
-def pairs_in(items: Itemset) -> Iterator[Itemset]:
-    return combinations(items, 2)

@@ -67,11 +67,14 @@ def item_supports(pairs: DataFrame) -> DataFrame:
     return pairs.where("tid is not null and item is not null").select("tid", "item").distinct().groupBy("item").agg(F.count("*").alias("support"))
 
 
-def encode(pairs: DataFrame, min_support: int = 1) -> Dataset:
-    """Two scans of the pairs: one for the dictionary, one for the transactions."""
+def encode(pairs: DataFrame, min_support: int = 1, distinct: bool = False) -> Dataset:
+    """Two scans of the pairs: one for the dictionary, one for the transactions.
+
+    ``distinct``: the pairs are known to be distinct and without nulls.
+    """
     spark = pairs.sparkSession
-    clean = pairs.where("tid is not null and item is not null").select("tid", "item").distinct()
-    known = item_supports(pairs).where(F.col("support") >= min_support)
+    clean = pairs if distinct else pairs.where("tid is not null and item is not null").select("tid", "item").distinct()
+    known = clean.groupBy("item").agg(F.count("*").alias("support")).where(F.col("support") >= min_support)
     rows = known.orderBy(F.desc("support"), "item").limit(MOST_ITEMS + 1).collect()
     if len(rows) > MOST_ITEMS:
         raise TooManyItems(f"over {MOST_ITEMS} items with support {min_support} or more")

@@ -5,8 +5,6 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.operators.candidates import Itemset
-
 
 def event_item(event_type: Column, props: Column) -> Column:
     return F.concat_ws("_", event_type, F.floor(F.get_json_object(props, "$.k").cast("int") / 10).cast("string"))
@@ -63,6 +61,3 @@ class SupportStream:
     def supports(self) -> DataFrame:
         return self.sets.sparkSession.read.parquet(self.path).groupBy("items").agg(F.sum("support").alias("support"))
 
-
-def as_sets(named: dict[Itemset, int]) -> list[Itemset]:
-    return list(named)

@@ -40,10 +40,13 @@ def ceil_share(share: Fraction, n: int) -> int:
 
 def load(spark: SparkSession, sf_dir: str, view: str, share: Fraction) -> tuple[Dataset, int]:
     """A view encoded for a relative minimal support, and that support as a count."""
-    pairs = pairs_of(spark, sf_dir, view)
-    n = pairs.select(F.count_distinct("tid")).first()[0]
-    minsup = ceil_share(share, n)
-    return encode(pairs, minsup), minsup
+    # Three jobs read the pairs; a spilled copy spares the joins and the shuffle behind them.
+    pairs = pairs_of(spark, sf_dir, view).where("tid is not null and item is not null").select("tid", "item").distinct().persist()
+    try:
+        minsup = ceil_share(share, pairs.select("tid").distinct().count())
+        return encode(pairs, minsup, distinct=True), minsup
+    finally:
+        pairs.unpersist()
 
 
 def characteristics(spark: SparkSession, sf_dir: str, wanted: dict[str, Fraction]) -> DataFrame:
