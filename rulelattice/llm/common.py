@@ -41,6 +41,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def set_aside(docs: DataFrame) -> tuple[DataFrame, Callable[[str], str]]:
+    """``docs`` under names that no operator uses for columns of its own, and the new name of an old one.
+
+    Operators that hand all columns on work on these and give the old names back at the end.
+    """
+    old = [c.lower() for c in docs.columns]
+    return docs.toDF(*[f"own{i}" for i in range(len(old))]), lambda name: f"own{old.index(name.lower())}"
+
+
 def fresh_key(key: Column) -> Column:
     """A string key equal in value, but not in the planner's eyes, so that a join deals both sides anew.
 

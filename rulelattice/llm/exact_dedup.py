@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import SPACE, cut, fresh_key
+from rulelattice.llm.common import SPACE, cut, fresh_key, set_aside
 
 
 def normalised(text: Column) -> Column:
@@ -76,15 +76,17 @@ def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     Groups without copies are left out of the lookup, which keeps its side small; adaptive execution
     broadcasts it below its threshold and splits hot groups beyond it.
     """
-    rows = _classes(_hashed(docs, id_col, text_col), colliding_hashes(docs, text_col))
+    own, name = set_aside(docs)
+    id_col, text_col = name(id_col), name(text_col)
+    rows = _classes(_hashed(own, id_col, text_col), colliding_hashes(own, text_col))
     best = F.min(F.struct((-F.col("_n")).alias("less"), F.col("_id").alias("id"), F.col("_sha").alias("sha")))
     groups = rows.groupBy("_class").agg(best.alias("_best"), F.sum("_times").alias("_size")).where("_size > 1")
     # Equal normalised texts have one SHA-256, which together with MD5 names the class of a row.
     groups = groups.select(F.col("_best.sha").alias("_sha"), (-F.col("_best.less")).alias("_keep_n"), F.col("_best.id").alias("_keep_id"))
-    marked = docs.withColumn("_norm", normalised(F.col(text_col))).withColumn("_sha", F.sha2("_norm", 256)).drop("_norm")
+    marked = own.withColumn("_norm", normalised(F.col(text_col))).withColumn("_sha", F.sha2("_norm", 256)).drop("_norm")
     joined = marked.join(groups, "_sha", "left").withColumn("_n", F.length(F.coalesce(text_col, F.lit(""))))
     winner = F.col(id_col).eqNullSafe(F.col("_keep_id")) & (F.col("_n") == F.col("_keep_n"))
-    alone = joined.where(F.col("_keep_n").isNull()).select(*docs.columns)
+    alone = joined.where(F.col("_keep_n").isNull()).select(*own.columns)
     best_rows = joined.where(F.col("_keep_n").isNotNull() & winner)
-    one_each = best_rows.dropDuplicates(["_sha"]).select(*docs.columns)
-    return alone.unionByName(one_each)
+    one_each = best_rows.dropDuplicates(["_sha"]).select(*own.columns)
+    return alone.unionByName(one_each).toDF(*docs.columns)

@@ -20,7 +20,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import SPACE, cut, let, words_of
+from rulelattice.llm.common import SPACE, cut, let, set_aside, words_of
 
 #: Frequent function words by language.
 COMMON_WORDS = {
@@ -211,9 +211,11 @@ def keep_good(docs: DataFrame, limits: Limits = Limits(), text_col: str = "text"
 
     Documents need no usable id: the texts are read twice, for the references and for the verdict.
     """
+    own, name = set_aside(docs)
+    text_col, lang_col = name(text_col), name(lang_col)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    references = language_references(docs, text_col, lang_col)  # a row for each listed language and one more at most
-    held = docs.join(F.broadcast(references), _lang_key(docs[lang_col]) == F.col("_ref_lang"), "left")
+    references = language_references(own, text_col, lang_col)  # a row for each listed language and one more at most
+    held = own.join(F.broadcast(references), _lang_key(own[lang_col]) == F.col("_ref_lang"), "left")
 
     def judged(words: Column) -> Column:
         def with_rare(rare: Column) -> Column:
@@ -223,4 +225,4 @@ def keep_good(docs: DataFrame, limits: Limits = Limits(), text_col: str = "text"
             return ~base & let(F.struct(c.alias("c"), w.alias("w")), lambda d: ~_far(d["c"], d["w"], limits))
         return let(rare_characters(text), with_rare)
 
-    return held.where(let(words_of(text), judged)).select(*docs.columns)
+    return held.where(let(words_of(text), judged)).select(*own.columns).toDF(*docs.columns)

@@ -210,4 +210,4 @@ def mask(docs: DataFrame, battery: Battery = Battery(), text_col: str = "text")
     """All documents with their columns; secrets in the text are masked, a null text stays null."""
     text = F.col(text_col)
     clean = let(scanned(F.coalesce(text, F.lit("")), battery), lambda s: F.when(text.isNull() | (F.size(s["all"]) == 0), text).otherwise(masked_text(text, s["all"])))
-    return docs.withColumn(text_col, clean).select(*docs.columns)
+    return docs.withColumn(text_col, clean)

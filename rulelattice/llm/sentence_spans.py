@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import SPACE, cut, let
+from rulelattice.llm.common import SPACE, cut, let, set_aside
 
 #: Zero-width places between sentences; what they cut keeps every character.
 BOUNDARY = rf"(?<=[.!?][{SPACE}])(?=[^{SPACE}])|(?<=\n)(?=[^\n])"
@@ -64,10 +64,14 @@ def repeated_sentences(docs: DataFrame, span: int = SPAN, min_words: int = MIN_W
 
 
 def drop_repeats(docs: DataFrame, span: int = SPAN, min_words: int = MIN_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """All documents with the kept text, ``n_sentences``, ``n_removed`` and ``n_spans`` (removed runs)."""
-    gone = repeated_sentences(docs, span, min_words, id_col, text_col)
-    key = F.xxhash64(docs[text_col])
-    joined = docs.join(gone, docs[id_col].eqNullSafe(gone["_id"]) & (key == gone["_th"]), "left")
+    """All documents with the kept text, ``n_sentences``, ``n_removed`` and ``n_spans`` (removed runs),
+    which take the place of columns of these names."""
+    own, name = set_aside(docs)
+    passed = [c for c in docs.columns if c.lower() not in (text_col.lower(), "n_sentences", "n_removed", "n_spans")]
+    kept_as, id_col, text_col = text_col, name(id_col), name(text_col)
+    gone = repeated_sentences(own, span, min_words, id_col, text_col)
+    key = F.xxhash64(own[text_col])
+    joined = own.join(gone, own[id_col].eqNullSafe(gone["_id"]) & (key == gone["_th"]), "left")
 
     def closed(ps: Column) -> Column:
         marked = F.transform(ps, lambda p, i: F.struct(p.alias("p"), (said(p) != "").alias("full"), F.coalesce(F.array_contains("_gone", i), F.lit(False)).alias("out")))
@@ -81,5 +85,6 @@ def drop_repeats(docs: DataFrame, span: int = SPAN, min_words: int = MIN_WORDS,
             )
         return let(marked, summed)
 
-    made = joined.select(*[docs[c] for c in docs.columns if c != text_col], let(pieces_of(docs[text_col]), closed).alias("_r"))
-    return made.select("*", F.col("_r.kept").alias(text_col), "_r.n_sentences", "_r.n_removed", "_r.n_spans").drop("_r")
+    made = joined.select(*[own[name(c)] for c in passed], let(pieces_of(own[text_col]), closed).alias("_r"))
+    results = [F.col(f"_r.{c}") for c in ("kept", "n_sentences", "n_removed", "n_spans")]
+    return made.select(*[F.col(name(c)) for c in passed], *results).toDF(*passed, kept_as, "n_sentences", "n_removed", "n_spans")

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import cut
+from rulelattice.llm.common import cut, set_aside
 from rulelattice.llm.components import components
 
 #: Blocks in which two close fingerprints must agree, and so the blocks beyond the radius.
@@ -188,10 +188,12 @@ def near_duplicates(docs: DataFrame, radius: int = 2, words: int = 3, id_col: st
 
 def one_of_each(docs: DataFrame, radius: int = 2, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One document of each component, the one with the smallest id (a null id is last), with all its columns."""
-    prints = cut(fingerprints(docs, words, id_col, text_col))
+    own, name = set_aside(docs)
+    id_col, text_col = name(id_col), name(text_col)
+    prints = cut(fingerprints(own, words, id_col, text_col))
     winners = _named(prints, radius)[1].select(F.col("least.id").alias("_id"), F.col("least.th").alias("_th"))
     repeated = prints.groupBy("doc_id", "th").agg(F.count("*").alias("_times")).where("_times > 1").select(F.col("doc_id").alias("_rid"), F.col("th").alias("_rth"), "_times")
     marked = winners.join(repeated, winners["_id"].eqNullSafe(repeated["_rid"]) & (winners["_th"] == repeated["_rth"]), "left").select("_id", "_th", F.coalesce("_times", F.lit(1)).alias("_times"))
-    kept = docs.join(marked, docs[id_col].eqNullSafe(marked["_id"]) & (F.xxhash64(docs[text_col]) == marked["_th"]))
-    once = kept.where("_times = 1").select(*docs.columns)
-    return once.unionByName(kept.where("_times > 1").dropDuplicates(["_id", "_th"]).select(*docs.columns))
+    kept = own.join(marked, own[id_col].eqNullSafe(marked["_id"]) & (F.xxhash64(own[text_col]) == marked["_th"]))
+    once = kept.where("_times = 1").select(*own.columns)
+    return once.unionByName(kept.where("_times > 1").dropDuplicates(["_id", "_th"]).select(*own.columns)).toDF(*docs.columns)

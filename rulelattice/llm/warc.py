@@ -12,7 +12,8 @@ the last response of every (URL, bucket). A hot URL is thus spread over its buck
 Edge cases: records with a null URL or time are never matched (``no_response``); at equal times the
 larger record id is the later response, and a response at the revisit's own time is not earlier; null
 validators are absent ones, and a revisit without any validator in common is ``unchecked``; null
-header maps count as empty; repeated rows are resolved each; an empty table gives an empty result.
+header maps count as empty, and of header names that differ in case only the last in byte order
+counts; repeated rows are resolved each; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rulelattice.llm.common import let
+
 #: Headers that a not-modified answer may update.
 PERMITTED = ["cache-control", "content-location", "date", "etag", "expires", "vary"]
 #: Fixed value: query parameters that do not change the page.
@@ -63,11 +66,22 @@ def asof_latest(events: DataFrame, key: str, ts: str, order_id: str, value: str,
     return joined.unionByName(unmatched)
 
 
+def lowered_names(headers: Column) -> Column:
+    """Headers under lower-case names; of names that differ in case only, the last in byte order stays."""
+    entries = F.map_entries(headers)
+
+    def one_of_each(es: Column) -> Column:
+        stay = F.filter(es, lambda e: ~F.exists(es, lambda x: (F.lower(x["key"]) == F.lower(e["key"])) & (x["key"] > e["key"])))
+        return F.map_from_entries(F.transform(stay, lambda e: F.struct(F.lower(e["key"]).alias("key"), e["value"].alias("value"))))
+
+    return let(entries, one_of_each)
+
+
 def resolve_revisits(records: DataFrame, width: int = 86_400) -> DataFrame:
     """One row per revisit: ``status``, the response used, its payload digest and the merged headers."""
     shaped = records.select(
         "record_id", F.lower("kind").alias("kind"), canonical_url(F.col("url")).alias("url_key"), "ts", weakened(F.col("etag")).alias("etag"), "last_modified",
-        F.coalesce(F.transform_keys("headers", lambda k, v: F.lower(k)), F.create_map().cast("map<string,string>")).alias("headers"), "payload_digest",
+        F.coalesce(lowered_names(F.col("headers")), F.create_map().cast("map<string,string>")).alias("headers"), "payload_digest",
     )
     full = F.when(F.col("kind") == "response", F.struct(F.col("record_id").alias("id"), "etag", "last_modified", "headers", "payload_digest"))
     found = asof_latest(shaped.withColumn("_full", full), "url_key", "ts", "record_id", "_full", width).where("kind = 'revisit'")
