@@ -1,6 +1,6 @@
 """A corpus pipeline of five stages; each is written and read again before the next.
 
-Quality rules drop documents, exact and SimHash deduplication keep one of each group, the secret
+Quality rules drop documents, exact and near deduplication keep one of each group, the secret
 scan masks what it finds, and the packing lays out the documents that are left.
 """
 
@@ -10,14 +10,10 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rulelattice.llm import exact_dedup, packing, quality_rules, secret_scan, simhash
+from rulelattice.llm import exact_dedup, packing, quality_rules, secret_scan, shingle_join
 from rulelattice.llm.common import shared_folder, table
 
 
-#: Differing bits up to which fingerprints link in this pipeline.
-NEAR_BITS = 4
-
-
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass the quality rules, with the columns of documents."""
     return quality_rules.keep_good(docs)
@@ -29,9 +25,9 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of close fingerprints; a near copy with a few changed words is
-    further off than the two bits by which fingerprints link elsewhere."""
-    return simhash.one_of_each(docs, radius=NEAR_BITS)
+    """One document of each component of texts whose five-word shingles have a Jaccard similarity of 0.8
+    or more. Fingerprints are not asked: near copies differ in more bits than block tables can reach."""
+    return shingle_join.one_of_each(docs)
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,12 +43,12 @@ def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 STAGES = [
     ("quality_rules", quality_stage),
     ("exact_dedup", exact_stage),
-    ("simhash_near_dedup", near_stage),
+    ("near_dedup", near_stage),
     ("secret_scans", secret_stage),
     ("best_fit_packing", packing_stage),
 ]
 
-#: SQL cannot express fingerprints and packing; the pipeline is tested against a brute-force version.
+#: SQL cannot express shingle hashes and packing; the pipeline is tested against a brute-force version.
 ORACLE_SQL = None
 
 

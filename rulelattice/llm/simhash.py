@@ -191,9 +191,14 @@ def one_of_each(docs: DataFrame, radius: int = 2, words: int = 3, id_col: str =
     own, name = set_aside(docs)
     id_col, text_col = name(id_col), name(text_col)
     prints = cut(fingerprints(own, words, id_col, text_col))
-    winners = _named(prints, radius)[1].select(F.col("least.id").alias("_id"), F.col("least.th").alias("_th"))
-    repeated = prints.groupBy("doc_id", "th").agg(F.count("*").alias("_times")).where("_times > 1").select(F.col("doc_id").alias("_rid"), F.col("th").alias("_rth"), "_times")
+    return chosen(own, prints, _named(prints, radius)[1], id_col, text_col).toDF(*docs.columns)
+
+
+def chosen(own: DataFrame, rows: DataFrame, named: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """The rows of ``own`` that are ``least`` in a component, one each; ``rows`` has every row's ``doc_id`` and text hash ``th``."""
+    winners = named.select(F.col("least.id").alias("_id"), F.col("least.th").alias("_th"))
+    repeated = rows.groupBy("doc_id", "th").agg(F.count("*").alias("_times")).where("_times > 1").select(F.col("doc_id").alias("_rid"), F.col("th").alias("_rth"), "_times")
     marked = winners.join(repeated, winners["_id"].eqNullSafe(repeated["_rid"]) & (winners["_th"] == repeated["_rth"]), "left").select("_id", "_th", F.coalesce("_times", F.lit(1)).alias("_times"))
     kept = own.join(marked, own[id_col].eqNullSafe(marked["_id"]) & (F.xxhash64(own[text_col]) == marked["_th"]))
     once = kept.where("_times = 1").select(*own.columns)
-    return once.unionByName(kept.where("_times > 1").dropDuplicates(["_id", "_th"]).select(*own.columns)).toDF(*docs.columns)
+    return once.unionByName(kept.where("_times > 1").dropDuplicates(["_id", "_th"]).select(*own.columns))
