@@ -42,7 +42,8 @@ def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
-    kept = sentence_spans.drop_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    # The SQL twin fixes a least length for spans; the operator itself has none.
+    kept = sentence_spans.drop_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), min_words=8)
     return kept.select("doc_id", "n_sentences", "n_removed", "n_spans", F.sha2("text", 256).alias("kept_sha256"))
 
 

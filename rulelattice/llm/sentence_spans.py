@@ -5,8 +5,8 @@ joined back, and each sentence that a non-first occurrence covers is removed; th
 by id and position, stays. Sentences end after ``.``, ``!`` or ``?`` with white space, or at a line's end.
 
 Edge cases: a null text has no sentences; sentences without a word stay where they are and do not
-interrupt a run; texts of fewer sentences have no span; spans under ``min_words`` words are left out,
-so that a few short words said twice are no repeat; rows repeated with the same id and text are
+interrupt a run; texts of fewer sentences have no span; spans of any length count, unless ``min_words``
+leaves out shorter ones (by words between blanks, so scripts without blanks need 0); rows repeated with the same id and text are
 treated alike, and do not count as copies of each other; a null id ranks first; an empty table gives
 an empty result.
 """
@@ -21,7 +21,7 @@ from rulelattice.llm.common import SPACE, cut, let, set_aside
 #: Zero-width places between sentences; what they cut keeps every character.
 BOUNDARY = rf"(?<=[.!?][{SPACE}])(?=[^{SPACE}])|(?<=\n)(?=[^\n])"
 SPAN = 3
-MIN_WORDS = 8
+MIN_WORDS = 0
 
 
 def pieces_of(text: Column) -> Column:

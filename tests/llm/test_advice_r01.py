@@ -4,7 +4,7 @@ import random
 
 import numpy as np
 
-from rulelattice.llm import exact_dedup, quality_rules, shingle_join
+from rulelattice.llm import exact_dedup, quality_rules, sentence_spans, shingle_join
 
 
 def jaccard_groups(rows):
@@ -82,3 +82,11 @@ def test_pairs_across_components_in_blocks(monkeypatch):
         monkeypatch.setattr(shingle_join, "ROWS_AT_ONCE", at_once)
         got = [(max(a, b), min(a, b)) for x, y in shingle_join.across(h, root, th, n) for a, b in zip(x.tolist(), y.tolist(), strict=True)]
         assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_op7_short_spans_and_scripts_without_blanks(spark):
+    short = "Yes. No. Maybe so."
+    lines = "\n".join(c * 60 for c in "甲乙丙丁")
+    docs = spark.createDataFrame([(1, short), (2, "Well then. " + short), (3, lines), (4, "新しい\n" + lines)], "doc_id long, text string")
+    got = {r["doc_id"]: (r["text"], r["n_removed"], r["n_spans"]) for r in sentence_spans.drop_repeats(docs).collect()}
+    assert got == {1: (short, 0, 0), 2: ("Well then. ", 3, 1), 3: (lines, 0, 0), 4: ("新しい\n", 4, 1)}
