@@ -1,6 +1,7 @@
 """Secret scan: three base patterns, and a battery of randomness tests for other tokens.
 
-A token is a run of 20 or more characters of the base64 alphabets that no base span touches. Its
+A token is a run of 20 or more characters of the base64 alphabets, with the ``=`` that pad it, that no
+base span touches; an ``=`` inside, as after a name, parts two tokens. Its
 encoding is inferred from the characters it uses. Three tests look at its symbols:
 
 * chi-squared uniformity over the alphabet, held against what ordinary text of that length would
@@ -32,12 +33,13 @@ ASSIGN = r"""([Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee]
 ASSIGN_LENGTH = 6
 ACCESS = "AKIA[A-Z0-9]{16,}"
 HEX = "[0-9a-f]{24,}"
-TOKEN = "[A-Za-z0-9+/_=-]{20,}"
+TOKEN = "[A-Za-z0-9+/_-]{20,}(?:=+(?![A-Za-z0-9+/_=-]))?|[A-Za-z0-9+/_-]{19}=+(?![A-Za-z0-9+/_=-])|[A-Za-z0-9+/_-]{18}==+(?![A-Za-z0-9+/_=-])"
 KINDS = ("assign", "access", "hex", "random")
 #: Alphabets of the encodings, with the unevenness (chi-squared less its freedom, a
 #: symbol) that ordinary text shows in them.
 ENCODINGS = (
     ("hex", "^[0-9a-f]*[0-9][0-9a-f]*$", "0123456789abcdef", 1.0),
+    ("upper_hex", "^[0-9A-F]*[0-9][0-9A-F]*$", "0123456789ABCDEF", 1.0),
     ("lower", "^[a-z]+$", "abcdefghijklmnopqrstuvwxyz", 0.72),
     ("base32", "^[A-Z2-7]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", 1.1),
     ("lower_digits", "^[0-9a-z]+$", "0123456789abcdefghijklmnopqrstuvwxyz", 1.2),
