@@ -106,9 +106,23 @@ def test_op6_named_values_and_upper_case_hex(spark):
     named = [(f"AWS_SECRET_ACCESS_KEY={drawn(rng, BASE64, 40)} end", 22, 62) for _ in range(40)]
     named += [(f"sig={drawn(rng, BASE64[:62], 40)}", 4, 44) for _ in range(40)]
     named += [(f"private_key={drawn(rng, BASE64, 42)}==", 12, 56) for _ in range(40)]
-    upper = [(f"id {drawn(rng, HEX.upper(), n)} end", 3, 3 + n) for n in (64,) for _ in range(40)]
+    upper = [(f"id {drawn(rng, HEX.upper(), n)} end", 3, 3 + n) for n in (20, 40, 64) for _ in range(40)]
     rows = [(i, t) for i, (t, _, _) in enumerate(named + upper)]
     got = {r["doc_id"]: r["spans"] for r in secret_scan.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     hits = [got[i] == f"random:{a}:{b}" for i, (_, a, b) in enumerate(named + upper)]
     for at in range(0, len(hits), 40):
         assert sum(hits[at : at + 40]) >= 34, (rows[at], sum(hits[at : at + 40]))
+
+
+def test_op6_finds_short_keys_and_leaves_words_alone(spark):
+    rng = random.Random(8)
+    alphabets = (HEX.upper(), string.ascii_lowercase, string.ascii_uppercase + "234567", string.digits + string.ascii_lowercase, string.digits + string.ascii_uppercase, BASE64[:62], BASE64)
+    words = "the nation other water people through right little house great before sentence different country between thought picture again animal mother answer".split()
+    rows = [drawn(rng, a, n) for a in alphabets for n in (20, 32, 40) for _ in range(60)]
+    text = [how(sep.join(rng.sample(words, 4))) for sep, how in (("", str.lower), ("", str.upper), ("_", str.lower), ("_", str.upper), ("/", str.title)) for _ in range(60)]
+    text += [f"{rng.randrange(1990, 2030)}-{rng.randrange(10, 13)}-{rng.randrange(10, 29)}/{rng.randrange(10**10, 10**11)}" for _ in range(60)]
+    docs = spark.createDataFrame(list(enumerate(rows + text)), "doc_id long, text string")
+    got = {r["doc_id"]: r["n_random"] for r in secret_scan.scan(docs).collect()}
+    found = [sum(got[i] == 1 for i in range(at, at + 60)) for at in range(0, len(rows), 60)]
+    assert min(found) >= 50, found
+    assert sum(got[i] > 0 for i in range(len(rows), len(rows) + len(text))) <= 4
