@@ -86,7 +86,7 @@ from best
 """
 
 
-def sentence_spans(span: int = 3, min_words: int = 8) -> str:
+def sentence_spans(span: int = 3) -> str:
     trimmed = lambda x: f"regexp_replace({x}, '^{BLANK}+|{BLANK}+$', '', 'g')"
     ends = lambda x: f"regexp_replace({x}, '([.!?]{BLANK})([^\\x01\\x20\\x09-\\x0D])', '\\1' || chr(1) || '\\2', 'g')"
     run = " || chr(10) || ".join(f"lead(s, {k}) over w" if k else "s" for k in range(span))
@@ -97,7 +97,7 @@ p as (select doc_id, unnest(ps) as p, unnest(range(1, len(ps) + 1)) as i from ps
 s as (select doc_id, p, i, {trimmed("p")} as s from p),
 f as (select * from s where s <> ''),
 r as (select doc_id, i as a, lead(i, {span - 1}) over w as b, {run} as h from f window w as (partition by doc_id order by i)),
-g as (select *, row_number() over (partition by h order by doc_id, a) as place from r where b is not null and len(string_split_regex(h, '{BLANK}+')) >= {min_words}),
+g as (select *, row_number() over (partition by h order by doc_id, a) as place from r where b is not null),
 gone as (select distinct g.doc_id, f.i from g join f on f.doc_id = g.doc_id and f.i between g.a and g.b where g.place > 1),
 m as (select s.*, gone.i is not null as gone from s left join gone using (doc_id, i)),
 c as (select doc_id, i, gone and not coalesce(lag(gone) over (partition by doc_id order by i), false) as starts from m where s <> ''),

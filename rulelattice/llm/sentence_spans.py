@@ -5,10 +5,9 @@ joined back, and each sentence that a non-first occurrence covers is removed; th
 by id and position, stays. Sentences end after ``.``, ``!`` or ``?`` with white space, or at a line's end.
 
 Edge cases: a null text has no sentences; sentences without a word stay where they are and do not
-interrupt a run; texts of fewer sentences have no span; spans of any length count, unless ``min_words``
-leaves out shorter ones (by words between blanks, so scripts without blanks need 0); rows repeated with the same id and text are
-treated alike, and do not count as copies of each other; a null id ranks first; an empty table gives
-an empty result.
+interrupt a run; texts of fewer sentences have no span; spans of any length count, so that scripts
+without blanks are treated like others; rows repeated with the same id and text are treated alike,
+and do not count as copies of each other; a null id ranks first; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,7 +20,6 @@ from rulelattice.llm.common import SPACE, cut, let, set_aside
 #: Zero-width places between sentences; what they cut keeps every character.
 BOUNDARY = rf"(?<=[.!?][{SPACE}])(?=[^{SPACE}])|(?<=\n)(?=[^\n])"
 SPAN = 3
-MIN_WORDS = 0
 
 
 def pieces_of(text: Column) -> Column:
@@ -38,52 +36,50 @@ def _numbered(text: Column) -> Column:
     return F.filter(F.transform(pieces_of(text), lambda p, i: F.struct(i.alias("i"), said(p).alias("s"))), lambda x: x["s"] != "")
 
 
-def spans(docs: DataFrame, span: int, min_words: int, id_col: str, text_col: str) -> DataFrame:
+def spans(docs: DataFrame, span: int, id_col: str, text_col: str) -> DataFrame:
     """One row per span: document key, first and last sentence, 128-bit hash."""
     def windows(xs: Column) -> Column:
         def one(j: Column) -> Column:
-            run = F.slice(xs, j + 1, span)
-            whole = F.array_join(F.transform(run, lambda x: x["s"]), "\n")
-            return let(whole, lambda w: F.struct(F.get(xs, j)["i"].alias("first"), F.get(xs, j + span - 1)["i"].alias("last"), F.xxhash64(w).alias("h1"), F.xxhash64(F.lit(1), w).alias("h2"), (F.size(F.split(w, f"[{SPACE}]+")) >= min_words).alias("long")))
+            whole = F.array_join(F.transform(F.slice(xs, j + 1, span), lambda x: x["s"]), "\n")
+            return let(whole, lambda w: F.struct(F.get(xs, j)["i"].alias("first"), F.get(xs, j + span - 1)["i"].alias("last"), F.xxhash64(w).alias("h1"), F.xxhash64(F.lit(1), w).alias("h2")))
         return F.when(F.size(xs) >= span, F.transform(F.sequence(F.lit(0), F.size(xs) - span), one))
 
     rows = docs.select(F.col(id_col).alias("_id"), F.xxhash64(text_col).alias("_th"), F.explode(let(_numbered(F.col(text_col)), windows)).alias("_w"))
-    return rows.where("_w.long").select("_id", "_th", "_w.first", "_w.last", "_w.h1", "_w.h2")
+    return rows.select("_id", "_th", "_w.first", "_w.last", "_w.h1", "_w.h2")
 
 
-def repeated_sentences(docs: DataFrame, span: int = SPAN, min_words: int = MIN_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """For each document with repeats, its key and the places of the sentences to remove."""
-    all_spans = spans(docs, span, min_words, id_col, text_col)
-    often = all_spans.groupBy("h1", "h2").count().where("count > 1").select(F.col("h1").alias("_a"), F.col("h2").alias("_b"))
-    # Two uses follow; the repeated spans alone are written, so texts are not split again for each.
-    again = cut(all_spans.join(often.withColumn("_a", F.shiftleft("_a", 0)), (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).drop("_a", "_b"))
+def repeated_sentences(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """For each document with repeats, its key and the places of the sentences to remove, in order."""
+    # Texts are split once: their spans are written, then counted and joined from there.
+    all_spans = cut(spans(docs, span, id_col, text_col))
+    often = all_spans.groupBy("h1", "h2").count().where("count > 1").select(F.shiftleft("h1", 0).alias("_a"), F.col("h2").alias("_b"))
+    again = cut(all_spans.join(often, (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).drop("_a", "_b"))
     at = F.struct(F.col("_id"), F.col("_th"), F.col("first"))
     first = again.groupBy("h1", "h2").agg(F.min(at).alias("_first")).select(F.shiftleft("h1", 0).alias("_a"), F.col("h2").alias("_b"), "_first")
     later = again.join(first, (F.col("h1") == F.col("_a")) & (F.col("h2") == F.col("_b"))).where(~at.eqNullSafe(F.col("_first")))
-    return later.groupBy("_id", "_th").agg(F.array_distinct(F.flatten(F.collect_set(F.sequence("first", "last")))).alias("_gone"))
+    return later.groupBy("_id", "_th").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_set(F.sequence("first", "last"))))).alias("_gone"))
 
 
-def drop_repeats(docs: DataFrame, span: int = SPAN, min_words: int = MIN_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def drop_repeats(docs: DataFrame, span: int = SPAN, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """All documents with the kept text, ``n_sentences``, ``n_removed`` and ``n_spans`` (removed runs),
     which take the place of columns of these names."""
     own, name = set_aside(docs)
     passed = [c for c in docs.columns if c.lower() not in (text_col.lower(), "n_sentences", "n_removed", "n_spans")]
     kept_as, id_col, text_col = text_col, name(id_col), name(text_col)
-    gone = repeated_sentences(own, span, min_words, id_col, text_col)
+    gone = repeated_sentences(own, span, id_col, text_col)
     key = F.xxhash64(own[text_col])
     joined = own.join(gone, own[id_col].eqNullSafe(gone["_id"]) & (key == gone["_th"]), "left")
 
     def closed(ps: Column) -> Column:
-        marked = F.transform(ps, lambda p, i: F.struct(p.alias("p"), (said(p) != "").alias("full"), F.coalesce(F.array_contains("_gone", i), F.lit(False)).alias("out")))
-        def summed(ms: Column) -> Column:
-            full = F.filter(ms, lambda m: m["full"])
-            return F.struct(
-                F.array_join(F.transform(F.filter(ms, lambda m: ~(m["full"] & m["out"])), lambda m: m["p"]), "").alias("kept"),
-                F.size(full).cast("long").alias("n_sentences"),
-                F.size(F.filter(full, lambda m: m["out"])).cast("long").alias("n_removed"),
-                let(full, lambda f: F.size(F.filter(F.transform(f, lambda m, i: m["out"] & ((i == 0) | ~F.get(f, F.greatest(i - 1, F.lit(0)))["out"])), lambda x: x))).cast("long").alias("n_spans"),
-            )
-        return let(marked, summed)
+        # Places are taken as whole lists, so that very long texts cost no more than their length.
+        out = F.coalesce("_gone", F.array().cast("array<int>"))
+        full = F.filter(F.transform(ps, lambda p, i: F.when(said(p) != "", i)), lambda i: i.isNotNull())
+        kept = F.transform(F.array_except(F.sequence(F.lit(0), F.size(ps) - 1), out), lambda i: F.get(ps, i))
+        # Every sentence's double place, and the odd one behind it where it goes: a run starts
+        # at an odd one that follows no other.
+        marks = lambda f: F.array_sort(F.concat(F.transform(f, lambda i: 2 * i), F.transform(out, lambda i: 2 * i + 1)))
+        starts = lambda m: F.size(F.filter(m, lambda x, j: (x % 2 == 1) & ((j < 2) | (F.get(m, F.greatest(j - 2, F.lit(0))) % 2 == 0))))
+        return let(full, lambda f: F.struct(F.array_join(kept, "").alias("kept"), F.size(f).cast("long").alias("n_sentences"), F.size(out).cast("long").alias("n_removed"), let(marks(f), starts).cast("long").alias("n_spans")))
 
     made = joined.select(*[own[name(c)] for c in passed], let(pieces_of(own[text_col]), closed).alias("_r"))
     results = [F.col(f"_r.{c}") for c in ("kept", "n_sentences", "n_removed", "n_spans")]
