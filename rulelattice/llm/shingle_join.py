@@ -1,14 +1,18 @@
-"""Near-duplicates by whole-text shingles: an exact Jaccard join.
+"""SimHash near-duplicates that are verified: whole-text shingles at a Jaccard similarity.
 
 A text's shingles are its runs of ``words`` words, each counted once. Two texts link if their shingles'
 Jaccard similarity is ``ALIKE`` or more, and every link is compared on all shingles of both texts.
 
-Candidates are complete. Of texts so alike, each has its share ``ALIKE`` of shingles in the other, so a
-text of which fewer shingles occur elsewhere can be left out. The others order their shared shingles
-from rare to frequent; two texts so alike have one in common among the first of each, beyond which
-too few are left. Texts that meet there are first compared with one of them. Once those links are
-joined to components, only pairs across components are still compared, so that very many near copies
-of a text do not cost all their pairs.
+Candidates come from fingerprints of ``LANES`` times 64 bits: the first lane has the bits that more than half
+of the shingle hashes have, the others those of the same hashes mixed anew. Texts meet in a table where they
+agree in all of its drawn bits. The bits of a table grow with the logarithm of the number of texts, so that
+a key has a bounded number of unrelated texts at any size, and the tables are as many as a pair at the
+similarity ``ALIKE`` needs to meet with the chance ``RECALL``. Of the pairs that meet, those whose distances to any
+pivot differ by more than ``RADIUS`` are discarded, then those that differ in more bits, and the others are verified.
+
+Texts are first compared with one of their key. Once those links are joined to components, the texts
+that are not in that one's component are compared with all of the key outside their own, so that very many
+near copies of a text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
 
 Edge cases: texts without words (null, empty, blank) are alike; texts of fewer words than a shingle
 are one shingle; rows repeated with an id keep one row each; an empty table gives an empty result.
@@ -16,21 +20,34 @@ are one shingle; rows repeated with an id keep one row each; an empty table give
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rulelattice.llm.common import cut, set_aside
 from rulelattice.llm.components import components
-from rulelattice.llm.simhash import chosen
+from rulelattice.llm.simhash import bit_counts, chosen, pivots
 
 #: Jaccard similarity from which texts link, as numerator and denominator.
 ALIKE = (4, 5)
 WORDS = 5
+LANES = 4
+#: Lanes that are compared bit by bit, and the bits in which two texts at the similarity may differ there: of 128
+#: they differ in 20 on average, with a standard deviation of about 4.
+COMPARED = 2
+RADIUS = 42
+PIVOTS = 4
+#: Share of bits in which two texts at the similarity differ: the angle whose cosine is 8 / 9, by pi.
+EDGE = math.acos(2 * ALIKE[0] / (ALIKE[0] + ALIKE[1])) / math.pi
+#: Chance that two texts at the similarity meet in some table.
+RECALL = 0.995
+#: Unrelated texts that a key has on average.
+CROWD = 16
 #: Rows that are handed on at once.
 ROWS_AT_ONCE = 500_000
 SEED = 42
@@ -43,51 +60,108 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     return np.array(sorted({digest(b" ".join(said[i : i + words]), SEED) for i in range(max(1, len(said) - words + 1))}), np.uint64)
 
 
-def _shingle_rows(docs: DataFrame, words: int, text_col: str) -> DataFrame:
-    """(th, n, h): a row for each shingle, with the text's hash and number of shingles."""
-    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def batch_of(ths: list[int], found: list[np.ndarray]) -> pa.RecordBatch:
-            sizes = np.array([len(f) for f in found], np.int64)
-            columns = [np.repeat(np.array(ths, np.int64), sizes), np.repeat(sizes, sizes), np.concatenate(found).view(np.int64)]
-            return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["th", "n", "h"])
+def lanes(hashes: np.ndarray) -> list[int]:
+    """Fingerprints of one set of hashes, signed."""
+    out = []
+    for lane in range(LANES):
+        mixed = hashes
+        if lane:
+            # Increment and multipliers of a public 64-bit mixing function.
+            mixed = hashes + np.uint64(lane * 0x9E3779B97F4A7C15 % (1 << 64))
+            mixed = (mixed ^ (mixed >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+            mixed = (mixed ^ (mixed >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+            mixed = mixed ^ (mixed >> np.uint64(31))
+        out.append(int(np.packbits(2 * bit_counts(mixed) > len(hashes), bitorder="little").view(np.int64)[0]))
+    return out
+
+
+def _prints(docs: DataFrame, words: int, text_col: str) -> DataFrame:
+    """(th, n, f0, ...): every text's hash, number of shingles and fingerprints, once."""
+    names = [f"f{i}" for i in range(LANES)]
 
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ths, found, held = [], [], 0
-            for th, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ths.append(th)
-                found.append(shingles(text.as_py(), words))
-                held += len(found[-1])
-                if held >= ROWS_AT_ONCE:
-                    yield batch_of(ths, found)
-                    ths, found, held = [], [], 0
-            if ths:
-                yield batch_of(ths, found)
+            sizes, found = [], []
+            for text in batch.column(1):
+                s = shingles(text.as_py(), words)
+                sizes.append(len(s))
+                found.append(lanes(s))
+            table = np.array(found, np.int64).reshape(-1, LANES)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), *[pa.array(np.ascontiguousarray(table[:, i])) for i in range(LANES)]], ["th", "n", *names])
+
+    made = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, "th long, n long, " + ", ".join(f"{c} long" for c in names))
+    return made.groupBy("th").agg(*[F.min(c).alias(c) for c in ("n", *names)])
+
+
+def tables_for(texts: int) -> tuple[int, int]:
+    """Number of tables and bits of each for so many texts."""
+    bits = max(4, math.ceil(math.log2(max(texts, 2) / CROWD)))
+    return math.ceil(math.log(1 - RECALL) / math.log(1 - (1 - EDGE) ** bits)), bits
+
 
-    return docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, "th long, n long, h long")
+def _keyed(prints: DataFrame, tables: int, bits: int) -> DataFrame:
+    """(kind, key, th, n, f0, ..., d0, ...): a row for each table with the compared lanes and pivot distances."""
+    rng = np.random.default_rng(11)
+    drawn = np.concatenate([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])
+    refs = pivots(PIVOTS * COMPARED).reshape(COMPARED, PIVOTS)
 
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            step = max(1, ROWS_AT_ONCE // tables)
+            for start in range(0, whole.num_rows, step):
+                b = whole.slice(start, step)
+                th, n, *fs = (c.to_numpy(zero_copy_only=False) for c in b.columns)
+                shown = np.unpackbits(np.stack(fs, axis=1).view(np.uint8), axis=1, bitorder="little")
+                keys = shown[:, drawn].reshape(len(th), tables, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64))
+                far = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int16) for i in range(COMPARED))
+                held = [np.tile(np.arange(tables, dtype=np.int32), len(th)), keys.reshape(-1), *[np.repeat(c, tables) for c in (th, n, *fs[:COMPARED], *far.T)]]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in held], names)
+
+    names = ["kind", "key", "th", "n", *[f"f{i}" for i in range(COMPARED)], *[f"d{i}" for i in range(PIVOTS)]]
+    return prints.mapInArrow(rows, ", ".join(f"{c} {k}" for c, k in zip(names, ["int", "long", "long", "long", *["long"] * COMPARED, *["smallint"] * PIVOTS], strict=True)))
 
-def _needed(n: str) -> str:
-    """Shingles that a text of ``n`` must have in another to be alike, in SQL."""
-    return f"(({ALIKE[0]} * {n} + {ALIKE[1] - 1}) div {ALIKE[1]})"
 
+def _near() -> Column:
+    """Whether two rows, the second with names that begin with ``o_``, may be alike: sizes, pivots, then bits."""
+    sized = F.least("n", "o_n") * ALIKE[1] >= F.greatest("n", "o_n") * ALIKE[0]
+    for i in range(PIVOTS):
+        sized &= F.abs(F.col(f"d{i}").cast("int") - F.col(f"o_d{i}").cast("int")) <= RADIUS
+    return sized & (sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(COMPARED)), F.lit(0)) <= RADIUS)
 
-def shared_sets(rows: DataFrame) -> DataFrame:
-    """(th, n, s): texts of which enough shingles occur elsewhere, with these from rare to frequent."""
-    same = Window.partitionBy("h")
-    shared = rows.select("th", "n", "h", F.count("*").over(same).alias("df"), F.min("th").over(same).alias("lo"), F.max("th").over(same).alias("hi")).where("lo <> hi")
-    sets = shared.groupBy("th").agg(F.first("n").alias("n"), F.sort_array(F.collect_set(F.struct("df", "h"))).alias("s"))
-    return sets.where(f"size(s) >= {_needed('n')}").select("th", "n", F.col("s.h").alias("s"))
 
+def _met(rows: DataFrame, others: DataFrame, barred: Column) -> DataFrame:
+    """Pairs (a, b) of rows and others with one key that may be alike; both sides are dealt anew, so hot keys can be split."""
+    other = others.toDF(*[f"o_{c}" for c in others.columns]).withColumns({"o_kind": F.shiftleft("o_kind", 0), "o_key": F.shiftleft("o_key", 0)})
+    met = rows.join(other, (F.col("kind") == F.col("o_kind")) & (F.col("key") == F.col("o_key"))).where(~barred & _near())
+    return met.select(F.least("th", "o_th").alias("a"), F.greatest("th", "o_th").alias("b"))
 
-def _alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+
+def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> DataFrame:
     """The pairs (a, b) that are alike on all their shingles."""
-    side = lambda x: sets.select(F.col("th").alias(x), F.col("n").alias(f"n{x}"), F.col("s").alias(f"s{x}"))
-    both = pairs.distinct().join(side("a"), "a").join(side("b"), "b").withColumn("i", F.size(F.array_intersect("sa", "sb")).cast("long"))
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ths, found, held = [], [], 0
+            for th, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                ths.append(th)
+                found.append(shingles(text.as_py(), words).view(np.int64))
+                held += len(found[-1])
+                if held >= ROWS_AT_ONCE:
+                    yield pa.RecordBatch.from_arrays([pa.array(ths, pa.int64()), pa.array(found, pa.list_(pa.int64()))], ["th", "s"])
+                    ths, found, held = [], [], 0
+            if ths:
+                yield pa.RecordBatch.from_arrays([pa.array(ths, pa.int64()), pa.array(found, pa.list_(pa.int64()))], ["th", "s"])
+
+    pairs = cut(pairs.distinct())
+    asked = pairs.select(F.col("a").alias("th")).unionByName(pairs.select(F.col("b").alias("th"))).distinct()
+    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked, "th", "left_semi").dropDuplicates(["th"])
+    sets = cut(texts.mapInArrow(rows, "th long, s array<long>"))
+    side = lambda x: sets.select(F.col("th").alias(x), F.col("s").alias(f"s{x}"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", F.size("sa").alias("na"), F.size("sb").alias("nb"), F.size(F.array_intersect("sa", "sb")).alias("i"))
     return both.where(f"{ALIKE[1]} * i >= {ALIKE[0]} * (na + nb - i)").select("a", "b")
 
 
 def across(h: np.ndarray, root: np.ndarray, th: np.ndarray, n: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs with equal ``h`` and different roots whose sizes allow a link."""
+    """Pairs with equal ``h`` and different roots whose sizes allow a link, of rows that one task holds; in blocks."""
     order = np.lexsort((root, h))
     h, root, th, n = h[order], root[order], th[order], n[order]
     if not len(h):
@@ -111,26 +185,20 @@ def across(h: np.ndarray, root: np.ndarray, th: np.ndarray, n: np.ndarray) -> It
         at = to
 
 
-def _across(keyed: DataFrame, roots: DataFrame) -> DataFrame:
-    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [tuple(c.to_numpy(zero_copy_only=False) for c in b.columns) for b in batches if b.num_rows]
-        if held:
-            for a, b in across(*(np.concatenate(c) for c in zip(*held, strict=True))):
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
-
-    placed = keyed.join(roots.select(F.col("node").alias("th"), "root"), "th", "left")
-    return placed.repartition("h").select("h", F.coalesce("root", "th"), "th", "n").mapInArrow(rows, "a long, b long")
-
-
 def near_roots(docs: DataFrame, words: int = WORDS, text_col: str = "text") -> DataFrame:
     """(node, root) for every text hash that links to another; root is its component's smallest hash."""
-    sets = cut(shared_sets(_shingle_rows(docs, words, text_col)))
-    keyed = cut(sets.select("th", "n", F.explode(F.expr(f"slice(s, 1, cast(size(s) - {_needed('n')} + 1 as int))")).alias("h")))
-    same = Window.partitionBy("h")
-    one = keyed.select(F.min("th").over(same).alias("a"), F.col("th").alias("b")).where("a <> b")
-    links = cut(_alike(one, sets))
+    prints = cut(_prints(docs, words, text_col))
+    keyed = cut(_keyed(prints, *tables_for(prints.count())))
+    held = [c for c in keyed.columns if c not in ("kind", "key", "th")]
+    least = keyed.groupBy("kind", "key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in held]).where("_n > 1").drop("_n")
+    links = cut(_alike(_met(keyed, least, F.col("th") == F.col("o_th")), docs, words, text_col))
     roots = components(links)
-    more = cut(_alike(_across(keyed, roots), sets))
+    rooted = lambda df: df.join(roots.select(F.col("node").alias("_n"), "root"), F.col("th") == F.col("_n"), "left").withColumn("root", F.coalesce("root", "th")).drop("_n")
+    # Who is in the component of its key's first one has been met through it; the others meet all of the key.
+    first = rooted(least.select("kind", "key", "th")).select(F.shiftleft("kind", 0).alias("_k"), F.shiftleft("key", 0).alias("_y"), F.col("root").alias("_r"))
+    placed = cut(rooted(keyed).join(first, (F.col("kind") == F.col("_k")) & (F.col("key") == F.col("_y"))).withColumn("open", F.col("root") != F.col("_r")).drop("_k", "_y", "_r"))
+    again = _met(placed, placed.where("open"), (F.col("root") == F.col("o_root")) | (F.col("open") & (F.col("th") >= F.col("o_th"))))
+    more = cut(_alike(again, docs, words, text_col))
     return components(links.unionByName(more)) if more.head(1) else roots
 
 

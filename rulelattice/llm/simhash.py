@@ -52,10 +52,15 @@ def fingerprint(text: str | None, words: int = 3) -> int:
     ends = np.cumsum(np.fromiter(map(len, said), np.int64, len(said)) + 1) - 1
     starts = np.r_[0, ends[: len(said) - words] + 1].tolist()
     hashes = np.array([digest(whole[s:e], SEED) for s, e in zip(starts, ends[words - 1 :].tolist(), strict=True)], np.uint64)
+    return int(np.packbits(2 * bit_counts(hashes) > len(hashes), bitorder="little").view(np.uint64)[0])
+
+
+def bit_counts(hashes: np.ndarray) -> np.ndarray:
+    """How many of the hashes have each bit."""
     counts = np.zeros(64, np.int64)
     for at in range(0, len(hashes), 1 << 15):
         counts += np.unpackbits(hashes[at : at + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * counts > len(hashes), bitorder="little").view(np.uint64)[0])
+    return counts
 
 
 def fingerprints(docs: DataFrame, words: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
