@@ -58,17 +58,31 @@ class Replay:
         return np.where(self.pair_keys[at] == key, self.pair_ranks[at], NONE)
 
     def alone(self, word: bytes) -> list[int]:
-        """One pre-token, always merging the leftmost pair of the lowest rank."""
-        parts = [self.ranks[bytes([b])] for b in word]
-        names = [bytes([b]) for b in word]
-        while len(parts) > 1:
-            best = min((self.ranks.get(names[i] + names[i + 1], NONE), i) for i in range(len(parts) - 1))
-            if best[0] == NONE:
-                break
-            i = best[1]
-            names[i : i + 2] = [names[i] + names[i + 1]]
-            parts[i : i + 2] = [int(best[0])]
-        return parts
+        """One pre-token, always merging the leftmost pair of the lowest rank; pairs wait in a heap."""
+        names: list[bytes | None] = [bytes([b]) for b in word]
+        after, before = list(range(1, len(word) + 1)), list(range(-1, len(word) - 1))
+        heap = [(r, i, 2) for i in range(len(word) - 1) if (r := self.ranks.get(word[i : i + 2])) is not None]
+        heapq.heapify(heap)
+
+        def enter(i: int) -> None:
+            if i >= 0 and after[i] < len(word):
+                pair = names[i] + names[after[i]]
+                if (r := self.ranks.get(pair)) is not None:
+                    heapq.heappush(heap, (r, i, len(pair)))
+
+        while heap:
+            rank, i, size = heapq.heappop(heap)
+            j = after[i]
+            # A pair that has changed since was entered anew, with another rank or length.
+            if names[i] is None or j >= len(word) or len(names[i]) + len(names[j]) != size or self.ranks[names[i] + names[j]] != rank:
+                continue
+            names[i], names[j] = names[i] + names[j], None
+            after[i] = after[j]
+            if after[j] < len(word):
+                before[after[j]] = i
+            enter(i)
+            enter(before[i])
+        return [self.ranks[n] for n in names if n is not None]
 
     def encode_words(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Token ids of all words one after another, and the number of each word's tokens."""

@@ -4,7 +4,7 @@ A text's subwords are the byte n-grams (lengths ``NGRAMS``) of its lower-cased U
 hashed to a row of an embedding table; a text is the average of its rows, and a linear layer with
 softmax scores the languages. Table and layer are trained together by stochastic gradient descent in
 numpy on a bounded sample of labelled rows (``SAMPLE`` texts at most, shared evenly over the labels,
-and ``SAMPLE_BYTES`` bytes), which are documented limits of the fit alone; prediction reads whole texts
+of ``LONGEST`` bytes each and ``SAMPLE_BYTES`` in all), which are documented limits of the fit alone; prediction reads whole texts
 of all rows. A part of the sample that the descent does not see calibrates the scores (a temperature)
 and sets the level below which a prediction is marked as rejected.
 
@@ -29,6 +29,8 @@ BUCKET_BITS = 16
 WIDTH = 16
 SAMPLE = 6000
 SAMPLE_BYTES = 24_000_000
+#: Bytes of the longest text that the sample takes.
+LONGEST = 1_000_000
 EPOCHS = 3
 RATE = 0.5
 #: Share of calibration texts that the rejection level marks although they are right.
@@ -154,13 +156,16 @@ def training_sample(docs: DataFrame, id_col: str, text_col: str, lang_col: str)
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
-    """A model trained on the sample, which is collected: its rows and bytes are bounded."""
-    chosen = training_sample(docs, id_col, text_col, lang_col)
-    rows = docs.where((fold(id_col) != 2) & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.xxhash64(id_col, text_col).alias("place"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
-    sampled = rows.join(F.broadcast(chosen.select("place").distinct()), "place")  # SAMPLE rows at most
-    running = F.sum(F.octet_length("text")).over(Window.orderBy("place").rowsBetween(Window.unboundedPreceding, -1))
-    bounded = sampled.dropDuplicates(["place"]).withColumn("before", running).where(F.coalesce("before", F.lit(0)) < SAMPLE_BYTES).orderBy("place")
-    got = bounded.select("text", "lang").collect()
+    """A model trained on the sample, which is collected: its rows and bytes are bounded (``SAMPLE``, ``SAMPLE_BYTES``)."""
+    labelled = docs.where((fold(id_col) != 2) & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
+    place = F.xxhash64(id_col, text_col)
+    chosen = training_sample(docs, id_col, text_col, lang_col).select("place").distinct()
+    # Only sizes meet in one task; texts are read for those that stay within the bytes.
+    sizes = labelled.select(place.alias("place"), F.octet_length(text_col).alias("size")).where(f"size <= {LONGEST}").join(F.broadcast(chosen), "place").dropDuplicates(["place"])  # SAMPLE rows at most
+    running = F.sum("size").over(Window.orderBy("place").rowsBetween(Window.unboundedPreceding, -1))
+    within = sizes.withColumn("before", running).where(F.coalesce("before", F.lit(0)) + F.col("size") <= SAMPLE_BYTES).select("place")
+    rows = labelled.select(place.alias("place"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
+    got = sorted(rows.join(F.broadcast(within), "place").dropDuplicates(["place"]).collect(), key=lambda r: r["place"])
     return train([r["text"] for r in got], [r["lang"] for r in got])
 
 

@@ -65,14 +65,15 @@ from j
 
 
 REVISITS = """
-with p as (
-  select page_id, md5(coalesce(html, '')) as d,
+with u as (select page_id, html, regexp_replace(url, '^[\\x20\\x09-\\x0D]+|[\\x20\\x09-\\x0D]+$', '', 'g') as url from pages),
+p as (
+  select page_id, md5(coalesce(html, '')) as d, url,
     regexp_replace(regexp_replace(lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)', 1)), '^www\\.', ''), ':(80|443)$', '') as host,
     regexp_replace(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*([^?#]*)', 1), '/+$', '') as path,
     list_sort(list_filter(string_split(regexp_extract(url, '^[^?#]*\\?([^#]*)', 1), '&'), lambda x: x <> '' and not regexp_matches(x, '^(utm_[a-z]+|ref|fbclid|gclid|sessionid)(=|$)'))) as asked
-  from pages
+  from u
 ), k as (
-  select page_id, d, host || path || case when len(asked) > 0 then '?' || array_to_string(asked, '&') else '' end as url_key from p
+  select page_id, d, case when host <> '' then host || path || case when len(asked) > 0 then '?' || array_to_string(asked, '&') else '' end when url <> '' then ':' || regexp_extract(url, '^[^#]*') end as url_key from p
 ), full_ as (select page_id * 2 as id, page_id * 60 as ts, d, url_key from k),
 again as (select page_id * 2 + 1 as id, (page_id + 1000) * 60 + 30 as ts, d, url_key from k),
 best as (

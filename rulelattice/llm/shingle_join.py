@@ -10,9 +10,10 @@ a key has a bounded number of unrelated texts at any size, and the tables are as
 similarity ``ALIKE`` needs to meet with the chance ``RECALL``. Of the pairs that meet, those whose distances to any
 pivot differ by more than ``RADIUS`` are discarded, then those that differ in more bits, and the others are verified.
 
-Texts are first compared with one of their key. Once those links are joined to components, the texts
-that are not in that one's component are compared with all of the key outside their own, so that very many
-near copies of a text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
+Under the first ``EARLY`` tables texts are compared with one of their key only. Once those links are joined to
+components, the search of all tables leaves out pairs within a component: texts that are not in the component of
+their key's first one are compared with all of the key outside their own, so that very many near copies of a
+text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
 
 Edge cases: texts without words (null, empty, blank) are alike; texts of fewer words than a shingle
 are one shingle; rows repeated with an id keep one row each; an empty table gives an empty result.
@@ -45,9 +46,11 @@ PIVOTS = 4
 #: Share of bits in which two texts at the similarity differ: the angle whose cosine is 8 / 9, by pi.
 EDGE = math.acos(2 * ALIKE[0] / (ALIKE[0] + ALIKE[1])) / math.pi
 #: Chance that two texts at the similarity meet in some table.
-RECALL = 0.995
+RECALL = 0.999
 #: Unrelated texts that a key has on average.
-CROWD = 16
+CROWD = 64
+#: Tables whose links bring copies together before all tables are searched.
+EARLY = 8
 #: Rows that are handed on at once.
 ROWS_AT_ONCE = 500_000
 SEED = 42
@@ -76,21 +79,16 @@ def lanes(hashes: np.ndarray) -> list[int]:
 
 
 def _prints(docs: DataFrame, words: int, text_col: str) -> DataFrame:
-    """(th, n, f0, ...): every text's hash, number of shingles and fingerprints, once."""
+    """(th, f0, ...): every text's hash and fingerprints, once."""
     names = [f"f{i}" for i in range(LANES)]
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sizes, found = [], []
-            for text in batch.column(1):
-                s = shingles(text.as_py(), words)
-                sizes.append(len(s))
-                found.append(lanes(s))
-            table = np.array(found, np.int64).reshape(-1, LANES)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), *[pa.array(np.ascontiguousarray(table[:, i])) for i in range(LANES)]], ["th", "n", *names])
+            table = np.array([lanes(shingles(text.as_py(), words)) for text in batch.column(1)], np.int64).reshape(-1, LANES)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(np.ascontiguousarray(table[:, i])) for i in range(LANES)]], ["th", *names])
 
-    made = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, "th long, n long, " + ", ".join(f"{c} long" for c in names))
-    return made.groupBy("th").agg(*[F.min(c).alias(c) for c in ("n", *names)])
+    made = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, "th long, " + ", ".join(f"{c} long" for c in names))
+    return made.groupBy("th").agg(*[F.min(c).alias(c) for c in names])
 
 
 def tables_for(texts: int) -> tuple[int, int]:
@@ -99,41 +97,41 @@ def tables_for(texts: int) -> tuple[int, int]:
     return math.ceil(math.log(1 - RECALL) / math.log(1 - (1 - EDGE) ** bits)), bits
 
 
-def _keyed(prints: DataFrame, tables: int, bits: int) -> DataFrame:
-    """(kind, key, th, n, f0, ..., d0, ...): a row for each table with the compared lanes and pivot distances."""
+def _keyed(prints: DataFrame, tables: int, bits: int, early: int | None = None) -> DataFrame:
+    """(key, th, f0, ..., far, own): a row for each table, or the ``early`` first ones, with the compared lanes
+    and the distances to the pivots, eight bits each; ``own`` is the text's component so far."""
     rng = np.random.default_rng(11)
-    drawn = np.concatenate([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])
+    drawn = np.concatenate([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])[: (early or tables) * bits]
     refs = pivots(PIVOTS * COMPARED).reshape(COMPARED, PIVOTS)
+    names = ["key", "th", *[f"f{i}" for i in range(COMPARED)], "far", "own"]
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        used = len(drawn) // bits
         for whole in batches:
-            step = max(1, ROWS_AT_ONCE // tables)
+            step = max(1, ROWS_AT_ONCE // used)
             for start in range(0, whole.num_rows, step):
-                b = whole.slice(start, step)
-                th, n, *fs = (c.to_numpy(zero_copy_only=False) for c in b.columns)
+                th, own, *fs = (c.to_numpy(zero_copy_only=False) for c in whole.slice(start, step).columns)
                 shown = np.unpackbits(np.stack(fs, axis=1).view(np.uint8), axis=1, bitorder="little")
-                keys = shown[:, drawn].reshape(len(th), tables, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64))
-                far = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int16) for i in range(COMPARED))
-                held = [np.tile(np.arange(tables, dtype=np.int32), len(th)), keys.reshape(-1), *[np.repeat(c, tables) for c in (th, n, *fs[:COMPARED], *far.T)]]
+                keys = shown[:, drawn].reshape(len(th), used, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64)) + (np.arange(used, dtype=np.int64) << bits)
+                away = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int64) for i in range(COMPARED))
+                held = [keys.reshape(-1), *[np.repeat(c, used) for c in (th, *fs[:COMPARED], away @ (np.int64(1) << (8 * np.arange(PIVOTS, dtype=np.int64))), own)]]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in held], names)
 
-    names = ["kind", "key", "th", "n", *[f"f{i}" for i in range(COMPARED)], *[f"d{i}" for i in range(PIVOTS)]]
-    return prints.mapInArrow(rows, ", ".join(f"{c} {k}" for c, k in zip(names, ["int", "long", "long", "long", *["long"] * COMPARED, *["smallint"] * PIVOTS], strict=True)))
+    return prints.select("th", "own", *[f"f{i}" for i in range(LANES)]).mapInArrow(rows, ", ".join(f"{c} long" for c in names))
 
 
-def _near() -> Column:
-    """Whether two rows, the second with names that begin with ``o_``, may be alike: sizes, pivots, then bits."""
-    sized = F.least("n", "o_n") * ALIKE[1] >= F.greatest("n", "o_n") * ALIKE[0]
-    for i in range(PIVOTS):
-        sized &= F.abs(F.col(f"d{i}").cast("int") - F.col(f"o_d{i}").cast("int")) <= RADIUS
-    return sized & (sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(COMPARED)), F.lit(0)) <= RADIUS)
-
+def _met(rows: DataFrame, others: DataFrame) -> DataFrame:
+    """Pairs (a, b) of rows and others with one key, of different components, that the pivots and then the bits let pass.
 
-def _met(rows: DataFrame, others: DataFrame, barred: Column) -> DataFrame:
-    """Pairs (a, b) of rows and others with one key that may be alike; both sides are dealt anew, so hot keys can be split."""
-    other = others.toDF(*[f"o_{c}" for c in others.columns]).withColumns({"o_kind": F.shiftleft("o_kind", 0), "o_key": F.shiftleft("o_key", 0)})
-    met = rows.join(other, (F.col("kind") == F.col("o_kind")) & (F.col("key") == F.col("o_key"))).where(~barred & _near())
-    return met.select(F.least("th", "o_th").alias("a"), F.greatest("th", "o_th").alias("b"))
+    Both sides are dealt anew, so hot keys can be split.
+    """
+    other = others.toDF(*[f"o_{c}" for c in others.columns]).withColumn("o_key", F.shiftleft("o_key", 0))
+    pivot = lambda c, i: F.shiftright(c, 8 * i).bitwiseAND(F.lit(255))
+    near = F.col("own") != F.col("o_own")
+    for i in range(PIVOTS):
+        near &= F.abs(pivot("far", i) - pivot("o_far", i)) <= RADIUS
+    near &= sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(COMPARED)), F.lit(0)) <= RADIUS
+    return rows.join(other, F.col("key") == F.col("o_key")).where(near).select(F.least("th", "o_th").alias("a"), F.greatest("th", "o_th").alias("b"))
 
 
 def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> DataFrame:
@@ -188,17 +186,17 @@ def across(h: np.ndarray, root: np.ndarray, th: np.ndarray, n: np.ndarray) -> It
 def near_roots(docs: DataFrame, words: int = WORDS, text_col: str = "text") -> DataFrame:
     """(node, root) for every text hash that links to another; root is its component's smallest hash."""
     prints = cut(_prints(docs, words, text_col))
-    keyed = cut(_keyed(prints, *tables_for(prints.count())))
-    held = [c for c in keyed.columns if c not in ("kind", "key", "th")]
-    least = keyed.groupBy("kind", "key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in held]).where("_n > 1").drop("_n")
-    links = cut(_alike(_met(keyed, least, F.col("th") == F.col("o_th")), docs, words, text_col))
+    size = tables_for(prints.count())
+    alone = _keyed(prints.withColumn("own", F.col("th")), *size, EARLY)
+    first = alone.groupBy("key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in alone.columns if c not in ("key", "th")]).where("_n > 1").drop("_n")
+    links = cut(_alike(_met(alone, first), docs, words, text_col))
     roots = components(links)
-    rooted = lambda df: df.join(roots.select(F.col("node").alias("_n"), "root"), F.col("th") == F.col("_n"), "left").withColumn("root", F.coalesce("root", "th")).drop("_n")
-    # Who is in the component of its key's first one has been met through it; the others meet all of the key.
-    first = rooted(least.select("kind", "key", "th")).select(F.shiftleft("kind", 0).alias("_k"), F.shiftleft("key", 0).alias("_y"), F.col("root").alias("_r"))
-    placed = cut(rooted(keyed).join(first, (F.col("kind") == F.col("_k")) & (F.col("key") == F.col("_y"))).withColumn("open", F.col("root") != F.col("_r")).drop("_k", "_y", "_r"))
-    again = _met(placed, placed.where("open"), (F.col("root") == F.col("o_root")) | (F.col("open") & (F.col("th") >= F.col("o_th"))))
-    more = cut(_alike(again, docs, words, text_col))
+    rooted = prints.join(roots.select(F.col("node").alias("_n"), "root"), F.col("th") == F.col("_n"), "left").withColumn("own", F.coalesce("root", "th"))
+    keyed = _keyed(rooted, *size)
+    # Texts of one component need not meet: who is not in that of its key's first one meets all of the key.
+    lead = keyed.groupBy("key").agg(F.min_by("own", "th").alias("_lead")).select(F.shiftleft("key", 0).alias("_k"), "_lead")
+    open_ = keyed.join(lead, F.col("key") == F.col("_k")).where("own <> _lead").select(*keyed.columns)
+    more = cut(_alike(_met(keyed, open_), docs, words, text_col))
     return components(links.unionByName(more)) if more.head(1) else roots
 
 

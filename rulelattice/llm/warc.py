@@ -9,7 +9,7 @@ The as-of join never brings a URL's whole history together: records are dealt by
 bucket, each bucket looks back within itself, and what it must inherit comes from a short table with
 the last response of every (URL, bucket). A hot URL is thus spread over its buckets.
 
-Edge cases: records with a null URL or time are never matched (``no_response``); at equal times the
+Edge cases: records with a null or blank URL or a null time are never matched (``no_response``); at equal times the
 larger record id is the later response, and a response at the revisit's own time is not earlier; null
 validators are absent ones, and a revisit without any validator in common is ``unchecked``; null
 header maps count as empty, and of header names that differ in case only the last in byte order
@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import let
+from rulelattice.llm.common import SPACE, let
 
 #: Headers that a not-modified answer may update.
 PERMITTED = ["cache-control", "content-location", "date", "etag", "expires", "vary"]
@@ -35,11 +35,22 @@ RECORD = "record_id long, kind string, url string, ts long, etag string, last_mo
 
 
 def canonical_url(url: Column) -> Column:
-    """Host without case, ``www.`` and default port, path without last slashes, sorted query without tracking."""
-    host = F.regexp_replace(F.regexp_replace(F.lower(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1)), r"^www\.", ""), ":(80|443)$", "")
-    path = F.regexp_replace(F.regexp_extract(url, r"^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*([^?#]*)", 1), "/+$", "")
-    asked = F.array_sort(F.filter(F.split(F.regexp_extract(url, r"^[^?#]*\?([^#]*)", 1), "&"), lambda p: (p != "") & ~F.rlike(p, F.lit(TRACKING))))
-    return F.when(url.isNotNull(), F.concat(host, path, F.when(F.size(asked) > 0, F.concat(F.lit("?"), F.array_join(asked, "&"))).otherwise(F.lit(""))))
+    """Host without case, ``www.`` and default port, path without last slashes, sorted query without tracking.
+
+    A URL without ``scheme://`` and a host keeps its own text, trimmed and without the fragment, after a colon,
+    so that it matches its like only; a blank one is null, which never matches.
+    """
+    trimmed = F.regexp_replace(url, f"^[{SPACE}]+|[{SPACE}]+$", "")
+
+    def key(u: Column) -> Column:
+        host = F.regexp_replace(F.regexp_replace(F.lower(F.regexp_extract(u, r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1)), r"^www\.", ""), ":(80|443)$", "")
+        path = F.regexp_replace(F.regexp_extract(u, r"^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*([^?#]*)", 1), "/+$", "")
+        asked = F.array_sort(F.filter(F.split(F.regexp_extract(u, r"^[^?#]*\?([^#]*)", 1), "&"), lambda p: (p != "") & ~F.rlike(p, F.lit(TRACKING))))
+        whole = F.concat(host, path, F.when(F.size(asked) > 0, F.concat(F.lit("?"), F.array_join(asked, "&"))).otherwise(F.lit("")))
+        other = F.concat(F.lit(":"), F.regexp_extract(u, "^[^#]*", 0))
+        return F.when(host != "", whole).when(u != "", other)
+
+    return let(trimmed, key)
 
 
 def weakened(etag: Column) -> Column:
