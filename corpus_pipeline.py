@@ -26,7 +26,7 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each component of texts whose five-word shingles have a Jaccard similarity of 0.8
-    or more. Fingerprints are not asked: near copies differ in more bits than block tables can reach."""
+    or more: SimHash tables and pivots find the pairs, all shingles of both texts verify them."""
     return shingle_join.one_of_each(docs)
 
 
@@ -43,7 +43,7 @@ def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 STAGES = [
     ("quality_rules", quality_stage),
     ("exact_dedup", exact_stage),
-    ("near_dedup", near_stage),
+    ("simhash_near_dedup", near_stage),
     ("secret_scans", secret_stage),
     ("best_fit_packing", packing_stage),
 ]
