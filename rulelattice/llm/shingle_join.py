@@ -10,10 +10,11 @@ a key has a bounded number of unrelated texts at any size, and the tables are as
 similarity ``ALIKE`` needs to meet with the chance ``RECALL``. Of the pairs that meet, those whose distances to any
 pivot differ by more than ``RADIUS`` are discarded, then those that differ in more bits, and the others are verified.
 
-Under the first ``EARLY`` tables texts are compared with one of their key only. Once those links are joined to
-components, the search of all tables leaves out pairs within a component: texts that are not in the component of
-their key's first one are compared with all of the key outside their own, so that very many near copies of a
-text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
+Under the first ``EARLY`` tables texts are compared with one of their key only, the one that is nearest to the
+middle of the key's fingerprints; of many copies it is the least changed. Once those links are joined to
+components, the search of all tables leaves out pairs within a component: texts that are not in the component
+most common under their key are compared with all of the key outside their own, so that very many near copies
+of a text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
 
 Edge cases: texts without words (null, empty, blank) are alike; texts of fewer words than a shingle
 are one shingle; rows repeated with an id keep one row each; an empty table gives an empty result.
@@ -37,16 +38,17 @@ from rulelattice.llm.simhash import bit_counts, chosen, pivots
 #: Jaccard similarity from which texts link, as numerator and denominator.
 ALIKE = (4, 5)
 WORDS = 5
-LANES = 4
-#: Lanes that are compared bit by bit, and the bits in which two texts at the similarity may differ there: of 128
-#: they differ in 20 on average, with a standard deviation of about 4.
-COMPARED = 2
-RADIUS = 42
+LANES = 8
+#: Bits in which two texts that are compared may differ: at the similarity they differ in 78 of 512 on average,
+#: with a standard deviation of about 8.
+RADIUS = 100
 PIVOTS = 4
+#: Bits that hold a distance to a pivot.
+DISTANCE_BITS = 12
 #: Share of bits in which two texts at the similarity differ: the angle whose cosine is 8 / 9, by pi.
 EDGE = math.acos(2 * ALIKE[0] / (ALIKE[0] + ALIKE[1])) / math.pi
 #: Chance that two texts at the similarity meet in some table.
-RECALL = 0.999
+RECALL = 0.98
 #: Unrelated texts that a key has on average.
 CROWD = 64
 #: Tables whose links bring copies together before all tables are searched.
@@ -98,12 +100,12 @@ def tables_for(texts: int) -> tuple[int, int]:
 
 
 def _keyed(prints: DataFrame, tables: int, bits: int, early: int | None = None) -> DataFrame:
-    """(key, th, f0, ..., far, own): a row for each table, or the ``early`` first ones, with the compared lanes
-    and the distances to the pivots, eight bits each; ``own`` is the text's component so far."""
+    """(key, th, f0, ..., far, own): a row for each table, or the ``early`` first ones, with the lanes
+    and the distances to the pivots, packed; ``own`` is the text's component so far."""
     rng = np.random.default_rng(11)
     drawn = np.concatenate([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])[: (early or tables) * bits]
-    refs = pivots(PIVOTS * COMPARED).reshape(COMPARED, PIVOTS)
-    names = ["key", "th", *[f"f{i}" for i in range(COMPARED)], "far", "own"]
+    refs = pivots(PIVOTS * LANES).reshape(LANES, PIVOTS)
+    names = ["key", "th", *[f"f{i}" for i in range(LANES)], "far", "own"]
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         used = len(drawn) // bits
@@ -113,24 +115,37 @@ def _keyed(prints: DataFrame, tables: int, bits: int, early: int | None = None)
                 th, own, *fs = (c.to_numpy(zero_copy_only=False) for c in whole.slice(start, step).columns)
                 shown = np.unpackbits(np.stack(fs, axis=1).view(np.uint8), axis=1, bitorder="little")
                 keys = shown[:, drawn].reshape(len(th), used, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64)) + (np.arange(used, dtype=np.int64) << bits)
-                away = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int64) for i in range(COMPARED))
-                held = [keys.reshape(-1), *[np.repeat(c, used) for c in (th, *fs[:COMPARED], away @ (np.int64(1) << (8 * np.arange(PIVOTS, dtype=np.int64))), own)]]
+                away = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int64) for i in range(LANES))
+                held = [keys.reshape(-1), *[np.repeat(c, used) for c in (th, *fs, away @ (np.int64(1) << (DISTANCE_BITS * np.arange(PIVOTS, dtype=np.int64))), own)]]
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in held], names)
 
     return prints.select("th", "own", *[f"f{i}" for i in range(LANES)]).mapInArrow(rows, ", ".join(f"{c} long" for c in names))
 
 
+def _middle(keyed: DataFrame) -> DataFrame:
+    """Of every key with several texts the one whose first lane is nearest to the bits that most of them have."""
+    share = [F.sum(F.shiftright("f0", i).bitwiseAND(F.lit(1))) for i in range(64)]
+    sums = keyed.groupBy("key").agg(F.count("*").alias("_n"), *[x.alias(f"b{i}") for i, x in enumerate(share)]).where("_n > 1")
+    middle = F.lit(0).cast("long")
+    for i in range(64):
+        middle = middle.bitwiseOR(F.when(2 * F.col(f"b{i}") > F.col("_n"), F.shiftleft(F.lit(1).cast("long"), i)).otherwise(F.lit(0).cast("long")))
+    held = sums.select(F.shiftleft("key", 0).alias("_k"), middle.alias("_mid"))
+    placed = keyed.join(held, F.col("key") == F.col("_k"))
+    near = F.shiftleft(F.bit_count(F.col("f0").bitwiseXOR(F.col("_mid"))).cast("long"), 56).bitwiseOR(F.shiftrightunsigned("th", 8))
+    return placed.withColumn("_near", near).groupBy("key").agg(*[F.min_by(c, "_near").alias(c) for c in keyed.columns if c != "key"])
+
+
 def _met(rows: DataFrame, others: DataFrame) -> DataFrame:
     """Pairs (a, b) of rows and others with one key, of different components, that the pivots and then the bits let pass.
 
     Both sides are dealt anew, so hot keys can be split.
     """
     other = others.toDF(*[f"o_{c}" for c in others.columns]).withColumn("o_key", F.shiftleft("o_key", 0))
-    pivot = lambda c, i: F.shiftright(c, 8 * i).bitwiseAND(F.lit(255))
+    pivot = lambda c, i: F.shiftright(c, DISTANCE_BITS * i).bitwiseAND(F.lit((1 << DISTANCE_BITS) - 1))
     near = F.col("own") != F.col("o_own")
     for i in range(PIVOTS):
         near &= F.abs(pivot("far", i) - pivot("o_far", i)) <= RADIUS
-    near &= sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(COMPARED)), F.lit(0)) <= RADIUS
+    near &= sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(LANES)), F.lit(0)) <= RADIUS
     return rows.join(other, F.col("key") == F.col("o_key")).where(near).select(F.least("th", "o_th").alias("a"), F.greatest("th", "o_th").alias("b"))
 
 
@@ -188,13 +203,12 @@ def near_roots(docs: DataFrame, words: int = WORDS, text_col: str = "text") -> D
     prints = cut(_prints(docs, words, text_col))
     size = tables_for(prints.count())
     alone = _keyed(prints.withColumn("own", F.col("th")), *size, EARLY)
-    first = alone.groupBy("key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in alone.columns if c not in ("key", "th")]).where("_n > 1").drop("_n")
-    links = cut(_alike(_met(alone, first), docs, words, text_col))
+    links = cut(_alike(_met(alone, _middle(alone)), docs, words, text_col))
     roots = components(links)
     rooted = prints.join(roots.select(F.col("node").alias("_n"), "root"), F.col("th") == F.col("_n"), "left").withColumn("own", F.coalesce("root", "th"))
     keyed = _keyed(rooted, *size)
-    # Texts of one component need not meet: who is not in that of its key's first one meets all of the key.
-    lead = keyed.groupBy("key").agg(F.min_by("own", "th").alias("_lead")).select(F.shiftleft("key", 0).alias("_k"), "_lead")
+    # Texts of one component need not meet: who is not in their key's most common one meets all of the key.
+    lead = keyed.groupBy("key", "own").count().groupBy("key").agg(F.max_by("own", "count").alias("_lead")).select(F.shiftleft("key", 0).alias("_k"), "_lead")
     open_ = keyed.join(lead, F.col("key") == F.col("_k")).where("own <> _lead").select(*keyed.columns)
     more = cut(_alike(_met(keyed, open_), docs, words, text_col))
     return components(links.unionByName(more)) if more.head(1) else roots
