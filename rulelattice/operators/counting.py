@@ -75,11 +75,12 @@ def count_sets(ds: Dataset, sets: list[Itemset], kernel: str = "auto") -> dict[I
     asked = [s for s in dict.fromkeys(sets) if len(s) > 1]
     if not asked:
         return known
-    ds.scans += 1
     table = candidate_table(ds, asked)
     kind = chosen_kernel(ds, asked) if kernel == "auto" else kernel
     if kind == "subset" and {len(s) for s in asked} - {2, 3}:
         kind = "probe"
+    for _ in range(len({len(s) for s in asked}) if kind == "subset" else 1):
+        ds.scanned(ds.size, ds.occurrences)
     if kind == "bitmap":
         counted = bitmap_counts(ds, table)
     elif kind == "subset":

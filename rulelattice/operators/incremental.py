@@ -5,10 +5,10 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from rulelattice.operators.candidates import Itemset, joined
-from rulelattice.operators.counting import count_sets
 from rulelattice.operators.items import Dataset
 from rulelattice.operators.ledger import Ledger
 from rulelattice.operators.levelwise import Branch, branch_of
+from rulelattice.operators.projection import ProjectedCounts
 from rulelattice.operators.store import ItemsetStore
 from rulelattice.plans.normalform import SetConj
 
@@ -56,18 +56,19 @@ def certainly_infrequent(whole: Itemset, store: ItemsetStore, need: int) -> bool
     return any(store.supports.get(whole[:i] + whole[i + 1 :], need) < need for i in range(len(whole)) if len(whole) > 1)
 
 
-def mine_incremental(ds: Dataset, conjs: list[SetConj], store: ItemsetStore, minsup: int = 1, cache_pruning: bool = True, kernel: str = "auto", ledger: Ledger | None = None) -> dict[Itemset, int]:
+def mine_incremental(ds: Dataset, conjs: list[SetConj], store: ItemsetStore, minsup: int = 1, cache_pruning: bool = True, kernel: str = "auto", ledger: Ledger | None = None, log: list | None = None) -> dict[Itemset, int]:
     """Counts what the disjuncts still need, all in shared scans with candidates of mixed sizes; returns the new sets."""
     ledger = ledger or Ledger()
     searches = [Search(branch_of(ds, SetConj(c.pos, c.neg, c.sup_lo), minsup)) for c in conjs]
     searches = [s for s in searches if s.branch.alive]
     for s in searches:
         s.seed(store)
+    counts_of = ProjectedCounts(ds, [(s.branch.pos, s.branch.allowed) for s in searches])
     new: dict[Itemset, int] = {}
-    before, rounds, pruned = ds.scans, 0, 0
+    before, rounds, pruned = (ds.scans, ds.rows_read, ds.occurrences_read), 0, 0
     while True:
-        wanted: dict[Itemset, None] = {}
-        for s in searches:
+        wanted: dict[Itemset, tuple[int, Itemset]] = {}
+        for at, s in enumerate(searches):
             while True:
                 moved = False
                 open_ = []
@@ -84,15 +85,19 @@ def mine_incremental(ds: Dataset, conjs: list[SetConj], store: ItemsetStore, min
                         open_.append(whole)
                 if not moved:
                     break
-            wanted |= dict.fromkeys([*sorted(s.pending), *open_])
-        wanted = {w: None for w in wanted if w not in store.supports}
+            pos = set(s.branch.pos)
+            for w in (*sorted(s.pending), *open_):
+                wanted.setdefault(w, (at, tuple(i for i in w if i not in pos)))
+        wanted = {w: x for w, x in wanted.items() if w not in store.supports}
         if not wanted:
             break
-        counted = count_sets(ds, list(wanted), kernel)
+        counted = counts_of.count(wanted.values(), kernel)
         rounds += 1
-        ledger.record(k=rounds, generated=len(wanted), regenerated=sum(w in store.supports for w in wanted))
+        ledger.record(k=rounds, generated=len(wanted))
+        if log is not None:
+            log += [(at, w, counted[w]) for w, (at, _) in wanted.items()]
         new |= store.append(counted)
         for s in searches:
             s.pending = {w for w in s.pending if w not in store.supports}
-    ledger.record(scans=ds.scans - before, iterations=rounds, pruned_by_cache=pruned)
+    ledger.record(scans=ds.scans - before[0], rows_read=ds.rows_read - before[1], occurrences_read=ds.occurrences_read - before[2], iterations=rounds, pruned_by_cache=pruned)
     return new

@@ -28,6 +28,8 @@ class Dataset:
     size: int
     min_support: int
     scans: int = 0
+    rows_read: int = 0
+    occurrences_read: int = 0
     _bitmaps: DataFrame | None = field(default=None, repr=False)
 
     def __post_init__(self) -> None:
@@ -37,6 +39,12 @@ class Dataset:
     def occurrences(self) -> int:
         return sum(self.supports)
 
+    def scanned(self, rows: int, occurrences: int) -> None:
+        """Notes a pass over so many transactions and items in them."""
+        self.scans += 1
+        self.rows_read += rows
+        self.occurrences_read += occurrences
+
     @property
     def bitmaps(self) -> DataFrame:
         """(block, iid, bm): one bitmap of 32 768 transactions for each item, dealt by block."""
@@ -44,6 +52,7 @@ class Dataset:
             nid = F.col("nid") + 1
             each = self.tx.select(F.bitmap_bucket_number(nid).alias("block"), F.bitmap_bit_position(nid).alias("at"), F.explode("items").alias("iid"))
             parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+            self.scanned(self.size, self.occurrences)
             made = each.groupBy("block", "iid").agg(F.bitmap_construct_agg("at").alias("bm"))
             # Without adaptive execution a checkpoint knows its partitioning by block, so that no later
             # grouping by block moves a bitmap.

@@ -2,8 +2,8 @@
 
 All disjuncts of a set query advance together: each level counts the candidates of every disjunct in
 one scan. A disjunct's search starts at its required items, so it saves as many levels, and never
-offers a forbidden item. Supports of whole sets in the database equal those of the rest in the
-projected database, so the kernels count whole sets.
+offers a forbidden item. The rests are counted in the projected databases: transactions without the
+required items leave at the first scan, and required, forbidden and too rare items are stripped.
 """
 
 from __future__ import annotations
@@ -15,9 +15,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rulelattice.operators.candidates import Itemset, join_step, joined, prune_step
-from rulelattice.operators.counting import count_sets, pair_counts
+from rulelattice.operators.counting import pair_counts
 from rulelattice.operators.items import Dataset
 from rulelattice.operators.ledger import Ledger
+from rulelattice.operators.projection import ProjectedCounts
 from rulelattice.plans.normalform import SetConj
 from rulelattice.runtime import LOCAL_CANDIDATES, cut
 
@@ -57,18 +58,26 @@ def branch_of(ds: Dataset, conj: SetConj, minsup: int) -> Branch:
     return Branch(conj, pos, allowed, need, alive)
 
 
-def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: str = "auto", ledger: Ledger | None = None, max_k: int | None = None, max_candidates: int = LOCAL_CANDIDATES) -> list[dict[Itemset, int]]:
-    """Frequent itemsets of each disjunct with their supports."""
+def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: str = "auto", ledger: Ledger | None = None, max_k: int | None = None, max_candidates: int = LOCAL_CANDIDATES, log: list | None = None) -> list[dict[Itemset, int]]:
+    """Frequent itemsets of each disjunct with their supports.
+
+    ``log`` gets (disjunct, itemset, support) of every candidate that is counted; of pairs that are counted
+    without a list of candidates, of the frequent ones.
+    """
     ledger = ledger or Ledger()
     branches = [branch_of(ds, c, minsup) for c in conjs]
     found: list[dict[Itemset, int]] = [{} for _ in branches]
-    scans_before, began, level = ds.scans, time.time(), 0
+    counts_of = ProjectedCounts(ds, [(b.pos, b.allowed) for b in branches])
+    before, began, level = (ds.scans, ds.rows_read, ds.occurrences_read), time.time(), 0
     offers: list[list[Itemset]] = [[()] if b.alive and b.pos else [(i,) for i in b.allowed] if b.alive else [] for b in branches]
     while any(offers):
         wanted = list(dict.fromkeys(b.whole(r) for b, rs in zip(branches, offers, strict=True) for r in rs))
         if len(wanted) > max_candidates:
             raise TooManyCandidates(f"{len(wanted)} candidates at level {level}")
-        counts = count_sets(ds, wanted, kernel)
+        counts = counts_of.count(((at, r) for at, rs in enumerate(offers) for r in rs), kernel)
+        if log is not None:
+            log += [(at, b.whole(r), counts[b.whole(r)]) for at, (b, rs) in enumerate(zip(branches, offers, strict=True)) for r in rs]
+        deeper = 0
         for at, (b, rests) in enumerate(zip(branches, offers, strict=True)):
             good = [r for r in rests if counts[b.whole(r)] >= b.need]
             found[at].update((b.whole(r), counts[b.whole(r)]) for r in good)
@@ -78,6 +87,9 @@ def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: s
                 offers[at] = []
             elif not b.pos and len(good[0]) == 1 and len(good) * (len(good) - 1) // 2 > MANY_PAIRS:
                 pairs = _many_pairs(ds, b, max_candidates)
+                deeper = 1
+                if log is not None:
+                    log += [(at, s, n) for s, n in pairs.items()]
                 found[at].update(pairs)
                 ledger.record(k=level + 1, disjunct=at, generated=len(good) * (len(good) - 1) // 2, frequent=len(pairs))
                 offers[at] = [] if max_k == 2 else joined(pairs)
@@ -85,14 +97,14 @@ def mine_set_query(ds: Dataset, conjs: list[SetConj], minsup: int = 1, kernel: s
                 offers[at] = [(i,) for i in b.allowed]
             else:
                 offers[at] = joined(good)
-        level += 1
-    ledger.record(scans=ds.scans - scans_before, iterations=level, t_sets=time.time() - began)
+        level += 1 + deeper
+    ledger.record(scans=ds.scans - before[0], rows_read=ds.rows_read - before[1], occurrences_read=ds.occurrences_read - before[2], iterations=level, t_sets=time.time() - began)
     return [{s: n for s, n in f.items() if b.conj.sup_hi is None or n < b.conj.sup_hi} for b, f in zip(branches, found, strict=True)]
 
 
 def _many_pairs(ds: Dataset, b: Branch, most: int) -> dict[Itemset, int]:
     """Frequent pairs of a disjunct without required items; at most ``most`` come to the driver."""
-    ds.scans += 1
+    ds.scanned(ds.size, ds.occurrences)
     barred = any(i in ds.code for i in b.conj.neg)
     rows = pair_counts(ds, b.need, b.allowed if barred else None).limit(most + 1).collect()
     if len(rows) > most:
@@ -121,7 +133,7 @@ def frequent_sets_as_tables(ds: Dataset, minsup: int, max_k: int | None = None)
         met = offered_tx.join(listed, "probe").where(F.size(F.array_except("items", "t")) == 0)
         counted = met.groupBy("key").agg(F.count("*").alias("support")).where(F.col("support") >= minsup)
         level = cut(counted.select(F.transform(F.split("key", ","), lambda x: x.cast("int")).alias("items"), "support"))
-        ds.scans += 1
+        ds.scanned(ds.size, ds.occurrences)
         k += 1
         if level.isEmpty():
             break
