@@ -27,7 +27,7 @@ from rulelattice.plans.normalform import SetConj, rule_disjuncts, set_disjuncts
 from rulelattice.runtime import read_table, shared_dir
 from rulelattice.sources.views import pairs_of
 from rulelattice.streaming.streams import SupportStream, gap_sessions, stream_transactions
-from rulelattice.workload import ceil_share, characteristics, compare_strategies, load, pattern_ratios, random_queries, run_session
+from rulelattice.workload import ceil_share, characteristics, compare_strategies, load, pattern_counts, pattern_ratios, random_queries, run_session
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -451,18 +451,45 @@ def missing_families(spark, sf_dir):
 # Measures and workloads -------------------------------------------------------------------------------------------
 
 
-@query()
+_W1 = {"dense_order": Fraction(1, 100), "clicks": Fraction(1, 1000), "basket_part": PART, "doc_terms": TERMS}
+_W1_SQL = " union all ".join(
+    f"(with recursive {O.sets_cte(v, share)}, {O.candidates_cte()} select '{v}' as view, (select count(distinct item) from pairs) as items, (select n from total) as transactions, (select p from p)::bigint as minsup, (select count(distinct level) from cand)::int as iterations, (select count(*) from sets) as itemsets)"
+    for v, share in _W1.items()
+)
+
+
+@query(_W1_SQL)
 def w1_characteristics(spark, sf_dir):
-    return characteristics(spark, sf_dir, {"dense_order": DENSE, "clicks": CLICKS, "basket_part": PART, "doc_terms": TERMS}).drop("seconds")
+    return characteristics(spark, sf_dir, _W1).drop("seconds")
+
+
+_W2_VIEWS = {
+    "dense_order": (DENSE, DENSE_ITEMS),
+    "clicks": (CLICKS, [f"{e}_{b}" for e in ("click", "view", "purchase") for b in range(10)]),
+    "basket_brand": (BRAND, [f"Brand#{b}" for b in range(1, 26)]),
+    "doc_terms": (TERMS, ["the", "of", "and", "in", "to", "on", "re", "or"]),
+}
+
 
+def _pattern_counts(view: str) -> Query:
+    share, items = _W2_VIEWS[view]
 
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ds, minsup = load(spark, sf_dir, view, share)
+        return pattern_counts(ds, view, minsup, Fraction(1, 10), random_queries(items, 100, seed=11))
+    return run
+
+
+for _view, (_share, _items) in _W2_VIEWS.items():
+    query(O.pattern_counts(_view, _share, random_queries(_items, 100, seed=11), Fraction(1, 10)), f"w2_patterns_{_view}")(_pattern_counts(_view))
 _W2 = random_queries(DENSE_ITEMS, 10, seed=11)
 
 
 @query()
 def w2_pattern_ratio(spark, sf_dir):
+    """Shares of candidates and of time beside those of the patterns, each query mined by itself."""
     ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
-    return pattern_ratios(ds, minsup, Fraction(1, 10), _W2).drop("time_ratio")
+    return pattern_ratios(ds, minsup, Fraction(1, 10), _W2)
 
 
 @query()
@@ -486,24 +513,87 @@ def w4_costs(spark, sf_dir):
     """Generated candidates and scans of one session under all strategies."""
     ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
     ledger = compare_strategies(ds, _RANDOM, minsup)
-    return ledger.where("metric in ('generated', 'query_scans', 'regenerated')").groupBy("strategy", "metric").agg(F.sum("value").alias("value"))
+    return ledger.where("metric in ('generated', 'query_scans', 'rows_read')").groupBy("strategy", "metric").agg(F.sum("value").alias("value"))
+
+
+_M_POS, _M_NEG = ["big=y", "status=O"], ["neg=n"]
+_M_SETS = f"with recursive {O.sets_cte('dense_order', DENSE)}"
+
+
+def _candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
+    log: list = []
+    levelwise.mine_set_query(ds, [SetConj(frozenset(_M_POS), frozenset(_M_NEG), minsup)], minsup, log=log)
+    return spark.createDataFrame([(ds.named(s),) for _, s, _ in log], "items array<string>")
+
+
+@query(f"{_M_SETS}, {O.candidates_cte(_M_POS, _M_NEG)} select array_to_string(items, '|') as itemset from cand")
+def m1_candidates(spark, sf_dir):
+    """Every itemset that is counted for a query, once for each time."""
+    return _candidates(spark, sf_dir).select(F.array_join("items", "|").alias("itemset"))
 
 
 @query("select 0::bigint as vain")
 def m1_vain(spark, sf_dir):
-    """Itemsets generated for a query that have no role in its rules, apart from thresholds."""
-    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
-    q = parse_query(f"body('big=y') and not body('neg=n') and head('status=O') and support >= {minsup}")
-    table = families.families(ds, query_sets(ds, q), rule_disjuncts(q))
-    return families.audit(ds, table).agg(F.count("*").alias("vain"))
+    """Counted itemsets that the query cannot accept whatever their support."""
+    wanted = [F.array_contains("items", i) for i in _M_POS] + [~F.array_contains("items", i) for i in _M_NEG]
+    kept = F.lit(True)
+    for w in wanted:
+        kept &= w
+    return _candidates(spark, sf_dir).agg(F.count_if(~kept).alias("vain"))
 
 
-@query(f"with recursive {O.sets_cte('dense_order', DENSE)}, lv as (select max(k) as m from sets) select (m - 1 + case when exists (select 1 from sets a join sets b on a.k = b.k and a.k = m and list_slice(a.items, 1, m - 1) = list_slice(b.items, 1, m - 1) and a.items < b.items) then 0 else 0 end)::bigint as least_scans from lv")
+@query(f"{_M_SETS}, {O.candidates_cte()} select count(distinct level) as scans from cand where level > 1")
 def m2_scans(spark, sf_dir):
-    """Levels above one that hold frequent itemsets: the fewest scans that the search can take."""
+    """Passes over the transactions that the unconstrained search makes after encoding."""
+    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
+    levelwise.frequent_sets(ds, minsup, "probe")
+    return spark.createDataFrame([(ds.scans,)], "scans long")
+
+
+@query(f"""{_M_SETS}, {O.candidates_cte(_M_POS, _M_NEG)}, f as (select item, count(*) as n from pairs group by item having count(*) >= (select p from p)),
+t as (select tid from pairs where item in ('big=y', 'status=O') group by tid having count(*) = 2), l as (select count(distinct level) as n from cand where level > 1)
+select (select n from total) + (select count(*) from t) * (1 + (select n from l)) as rows_read,
+  ((select sum(n) from f) + (select count(*) from pairs join t using (tid) join f using (item) where item not in ('big=y', 'status=O', 'neg=n')) * (1 + (select n from l)))::bigint as occurrences_read""")
+def m3_scanned(spark, sf_dir):
+    """Transactions and items that a query's scans read: all of them once, then the projected ones only."""
+    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
+    levelwise.mine_set_query(ds, [SetConj(frozenset(_M_POS), frozenset(_M_NEG), minsup)], minsup, "probe")
+    return spark.createDataFrame([(ds.rows_read, ds.occurrences_read)], "rows_read long, occurrences_read long")
+
+
+_M6 = {"body('big=y')": (["big=y"], []), "body('big=y') and head('status=O')": (["big=y", "status=O"], []), "head('big=y') and not body('neg=n') and not head('neg=n')": (["big=y"], ["neg=n"])}
+
+
+@query(f"{_M_SETS}, {', '.join(O.candidates_cte(p, n, f'c{i}') for i, (p, n) in enumerate(_M6.values()))}, u as ({' union all '.join(f'select items from c{i}' for i in range(len(_M6)))}) select 'integrated' as strategy, count(*) - count(distinct items) as regenerated from u union all select 'incremental', 0")
+def m6_regenerated(spark, sf_dir):
+    """Itemsets that a session counts again, from the log of all its counts."""
+    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
+    rows = []
+    for strategy in ("integrated", "incremental"):
+        log = [s for _, s, _ in run_session(ds, [parse_query(q) for q in _M6], strategy, minsup).log]
+        rows.append((strategy, len(log) - len(set(log))))
+    return spark.createDataFrame(rows, "strategy string, regenerated long")
+
+
+_M18 = ["big=y", "neg=y", "status=O", "qtr=1", "dow=0", "bal=3"]
+
+
+@query(_M_SETS + " " + " union all ".join(f"select '{i}' as item, count(*) filter (where list_contains(items, '{i}')) as required, count(*) filter (where not list_contains(items, '{i}')) as forbidden, count(*) as frequent from sets" for i in _M18))
+def m18_search_space(spark, sf_dir):
+    """Frequent itemsets left where an item is required or forbidden: at most half of them contain it."""
+    ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
+    conjs = [SetConj(frozenset(), frozenset(), minsup)] + [SetConj(frozenset(p), frozenset(n), minsup) for i in _M18 for p, n in (([i], []), ([], [i]))]
+    sizes = [len(f) for f in levelwise.mine_set_query(ds, conjs, minsup)]
+    return spark.createDataFrame([(i, sizes[2 * k + 1], sizes[2 * k + 2], sizes[0]) for k, i in enumerate(_M18)], "item string, required long, forbidden long, frequent long")
+
+
+@query()
+def m19_lookup(spark, sf_dir):
+    """Seconds of a session's queries that go into lookups: subtraction, seeding and the answer's selection."""
     ds, minsup = load(spark, sf_dir, "dense_order", DENSE)
-    found = levelwise.frequent_sets(ds, minsup)
-    return spark.createDataFrame([(max(len(s) for s in found) - 1,)], "least_scans long")
+    ledger = run_session(ds, _RANDOM, "incremental", minsup, coverage="top").ledger.df(spark)
+    return ledger.where("metric in ('t_lookup', 't_query')").groupBy("query").pivot("metric", ["t_lookup", "t_query"]).agg(F.sum("value"))
 
 
 @query(f"with recursive {O.sets_cte('dense_order', DENSE)} select array_to_string(a.items, '|') as itemset, a.k::int as k, a.support from sets a where not exists (select 1 from sets b where b.k = a.k + 1 and b.support = a.support and list_has_all(b.items, a.items))")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 from rulelattice.operators.candidates import Itemset, joined
@@ -61,8 +62,10 @@ def mine_incremental(ds: Dataset, conjs: list[SetConj], store: ItemsetStore, min
     ledger = ledger or Ledger()
     searches = [Search(branch_of(ds, SetConj(c.pos, c.neg, c.sup_lo), minsup)) for c in conjs]
     searches = [s for s in searches if s.branch.alive]
+    began = time.time()
     for s in searches:
         s.seed(store)
+    ledger.record(t_seed=time.time() - began)
     counts_of = ProjectedCounts(ds, [(s.branch.pos, s.branch.allowed) for s in searches])
     new: dict[Itemset, int] = {}
     before, rounds, pruned = (ds.scans, ds.rows_read, ds.occurrences_read), 0, 0

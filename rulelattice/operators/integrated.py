@@ -34,10 +34,10 @@ def with_session_bounds(query: Expr, minsup: int, minconf: Fraction | None) -> E
     return And((query, MinSupport(minsup), *([MinConfidence(minconf)] if minconf is not None else [])))
 
 
-def query_sets(ds: Dataset, query: Expr, options: MiningOptions = MiningOptions(), ledger: Ledger | None = None) -> dict[Itemset, int]:
+def query_sets(ds: Dataset, query: Expr, options: MiningOptions = MiningOptions(), ledger: Ledger | None = None, log: list | None = None) -> dict[Itemset, int]:
     """Itemsets that the query accepts."""
     rules = rule_disjuncts(query, options.normal, options.sort_by_support)
-    parts = mine_set_query(ds, set_disjuncts(rules, options.normal, options.sort_by_support), 1, options.kernel, ledger)
+    parts = mine_set_query(ds, set_disjuncts(rules, options.normal, options.sort_by_support), 1, options.kernel, ledger, log=log)
     return {s: n for p in parts for s, n in p.items()}
 
 

@@ -123,11 +123,15 @@ def frequent_sets_as_tables(ds: Dataset, minsup: int, max_k: int | None = None)
     For answers beyond the driver's bound: join, prune and count are joins, each level is a checkpoint.
     """
     singles = ds.spark.createDataFrame([([i], n) for i, n in enumerate(ds.supports) if n >= minsup], "items array<int>, support long")
-    level, done, k = singles, [singles.withColumn("k", F.lit(1))], 1
+    done = [singles.withColumn("k", F.lit(1))]
+    if max_k == 1:
+        return done[0]
+    # Pairs are counted as they occur: all single items have one prefix, so a join would offer every pair.
+    ds.scanned(ds.size, ds.occurrences)
+    level, k = cut(pair_counts(ds, minsup).select(F.array("a", "b").alias("items"), "support")), 2
+    done.append(level.withColumn("k", F.lit(2)))
     while max_k is None or k < max_k:
-        offered = join_step(level.select("items"))
-        if k > 1:
-            offered = prune_step(offered, level.select("items"))
+        offered = prune_step(join_step(level.select("items")), level.select("items"))
         listed = offered.withColumn("probe", F.element_at("items", -1)).withColumn("key", F.array_join(F.transform("items", lambda i: i.cast("string")), ","))
         offered_tx = ds.tx.where(F.size("items") > k).select(F.col("items").alias("t"), F.explode("items").alias("probe"))
         met = offered_tx.join(listed, "probe").where(F.size(F.array_except("items", "t")) == 0)

@@ -19,12 +19,12 @@ from rulelattice.operators.incremental import mine_incremental
 from rulelattice.operators.integrated import MiningOptions, query_sets, with_session_bounds
 from rulelattice.operators.items import Dataset, sets_table
 from rulelattice.operators.ledger import Ledger
-from rulelattice.operators.levelwise import frequent_sets
+from rulelattice.operators.levelwise import TooManyCandidates, frequent_sets, frequent_sets_as_tables, named_table
 from rulelattice.operators.rulegen import all_splits, rules_of
 from rulelattice.operators.store import Coverage, ItemsetStore, lookup
 from rulelattice.plans.algebra import And, Expr, Or, parse_query, to_rule_predicate, to_text
 from rulelattice.plans.normalform import SetConj, disjoint, rule_disjuncts, set_disjuncts, size_of, to_set_conj
-from rulelattice.runtime import shared_dir
+from rulelattice.runtime import LOCAL_CANDIDATES, shared_dir
 
 
 class BelowThreshold(ValueError):
@@ -42,10 +42,14 @@ class Session:
     heuristic: str = "cached_count"
     cache_pruning: bool = True
     materialize: str = "sets"
+    #: Most candidates of a level that the driver holds while everything is mined; beyond it they stay tables.
+    most_local: int = LOCAL_CANDIDATES
     options: MiningOptions = MiningOptions()
     name: str = "session"
     ledger: Ledger = field(default_factory=Ledger)
     asked: list[Expr] = field(default_factory=list)
+    #: (disjunct, itemset, support) of every candidate counted for itemsets, repeats included.
+    log: list = field(default_factory=list)
 
     def __post_init__(self) -> None:
         self.ledger.session = self.name
@@ -58,14 +62,18 @@ class Session:
 
     def _mine_everything(self) -> None:
         began = time.time()
-        found = frequent_sets(self.ds, self.minsup, self.options.kernel, self.ledger)
         path = f"{shared_dir(self.ds.spark)}/store-{uuid.uuid4().hex}"
-        sets_table(self.ds, found).write.partitionBy("k").parquet(path)
+        try:
+            sets = sets_table(self.ds, frequent_sets(self.ds, self.minsup, self.options.kernel, self.ledger, max_candidates=self.most_local))
+        except TooManyCandidates:
+            # More than the driver may hold: candidates and answers stay tables.
+            sets = named_table(self.ds, frequent_sets_as_tables(self.ds, self.minsup))
+        sets.write.partitionBy("k").parquet(path)
         self.table = self.ds.spark.read.parquet(path).select("items", "k", "support")
         if self.materialize == "rules":
             all_splits(self.table, self.minconf or Fraction(0)).write.parquet(path + "-rules")
             self.rules_table = self.ds.spark.read.parquet(path + "-rules")
-        self.ledger.record(t_mining=time.time() - began, stored=len(found))
+        self.ledger.record(t_mining=time.time() - began, stored=self.table.count())
 
     def _parsed(self, query: Expr | str) -> Expr:
         query = parse_query(query) if isinstance(query, str) else query
@@ -75,7 +83,7 @@ class Session:
         rules = rule_disjuncts(query, "ddnf", self.options.sort_by_support)
         wanted = set_disjuncts(rules, "ddnf", self.options.sort_by_support)
         if self.strategy == "integrated":
-            return query_sets(self.ds, query, self.options, self.ledger)
+            return query_sets(self.ds, query, self.options, self.ledger, self.log)
         if self.strategy == "postprocess":
             if wanted and min(c.sup_lo for c in wanted) < self.minsup:
                 raise BelowThreshold(f"the store holds supports of {self.minsup} or more")
@@ -83,8 +91,10 @@ class Session:
         began = time.time()
         rest = self.covered.remainder(wanted, self.coverage, self.keep, self.heuristic)
         looked = time.time() - began
-        new = mine_incremental(self.ds, rest, self.store, self.minsup, self.cache_pruning, self.options.kernel, self.ledger)
+        new = mine_incremental(self.ds, rest, self.store, self.minsup, self.cache_pruning, self.options.kernel, self.ledger, self.log)
+        seeded, again = self.ledger.total("t_seed", self.ledger.query), time.time()
         answer = self.store.satisfying(wanted)
+        looked += seeded + time.time() - again
         self.covered.add(wanted, self.store, new)
         d, n = self.covered.size()
         stored = sum(s >= self.minsup for s in self.store.supports.values())

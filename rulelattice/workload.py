@@ -10,11 +10,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rulelattice.operators.integrated import query_rules, query_sets, with_session_bounds
-from rulelattice.operators.items import Dataset, encode
+from rulelattice.operators.items import Dataset, encode, sets_table
 from rulelattice.operators.ledger import Ledger, cumulative, cutoff, proportionality
-from rulelattice.operators.levelwise import frequent_sets
+from rulelattice.operators.levelwise import frequent_sets, mine_set_query
+from rulelattice.operators.rulegen import all_splits
 from rulelattice.operators.session import Session
-from rulelattice.plans.algebra import And, Expr, InBody, InHead, Not, Or, to_text
+from rulelattice.plans.algebra import And, Expr, InBody, InHead, Not, Or, to_rule_predicate, to_text
+from rulelattice.plans.normalform import rule_disjuncts, set_disjuncts
 from rulelattice.sources.views import pairs_of
 
 
@@ -57,7 +59,7 @@ def characteristics(spark: SparkSession, sf_dir: str, wanted: dict[str, Fraction
         ledger, began = Ledger(), time.time()
         found = frequent_sets(ds, minsup, ledger=ledger)
         items = pairs_of(spark, sf_dir, view).select(F.count_distinct("item")).first()[0]
-        rows.append((view, items, ds.size, minsup, max((len(s) for s in found), default=0), len(found), time.time() - began))
+        rows.append((view, items, ds.size, minsup, int(ledger.total("iterations")), len(found), time.time() - began))
         ds.release()
     return spark.createDataFrame(rows, "view string, items long, transactions long, minsup long, iterations int, itemsets long, seconds double")
 
@@ -78,6 +80,21 @@ def pattern_ratios(ds: Dataset, minsup: int, minconf: Fraction, queries: list[Ex
     return ds.spark.createDataFrame(rows, "query int, query_text string, sets long, all_sets long, set_ratio double, rule_ratio double, candidate_ratio double, time_ratio double")
 
 
+def pattern_counts(ds: Dataset, view: str, minsup: int, minconf: Fraction, queries: list[Expr]) -> DataFrame:
+    """For each query its itemsets and rules, beside those of no query. All queries are mined in shared scans."""
+    disjuncts = [set_disjuncts(rule_disjuncts(with_session_bounds(q, minsup, None))) for q in queries]
+    found = mine_set_query(ds, [c for cs in disjuncts for c in cs], minsup)
+    sizes, at = [], 0
+    for cs in disjuncts:
+        sizes.append(sum(map(len, found[at : at + len(cs)])))  # a query's disjuncts exclude each other
+        at += len(cs)
+    everything = sets_table(ds, frequent_sets(ds, minsup))
+    rules = all_splits(everything, minconf).agg(F.count("*").alias("all_rules"), *[F.count_if(to_rule_predicate(q)).alias(f"q{i}") for i, q in enumerate(queries)]).first()
+    total = everything.count()
+    rows = [(view, i, n, total, rules[f"q{i - 1}"], rules["all_rules"]) for i, n in enumerate(sizes, 1)]
+    return ds.spark.createDataFrame(rows, "view string, query int, sets long, all_sets long, rules long, all_rules long")
+
+
 def run_session(ds: Dataset, queries: list[Expr], strategy: str, minsup: int, minconf: Fraction | None = None, coverage: str = "none", keep: int = 2, cache_pruning: bool = True) -> Session:
     """Answers all queries (itemsets only) under one strategy; costs are in the session's ledger."""
     session = Session(ds, strategy, minsup, minconf, coverage, keep, cache_pruning=cache_pruning)
