@@ -246,6 +246,8 @@ _INTEGRATED = {
     "query_without_answers": ("dense_order", DENSE, "body('big=y') and head('big=y')", MiningOptions()),
     "query_unknown_item": ("dense_order", DENSE, "body('big=y') and not head('no such item') and head('neg=y')", MiningOptions()),
     "infeasible_terms": ("doc_terms", Fraction(3, 10), "body('the') and head('of') and confidence >= 0.9", MiningOptions()),
+    "rules_from_forced_head": ("dense_order", DENSE, "head('big=y') and not body('neg=n') and confidence >= 0.3 or body('status=O') and head('neg=n') and confidence >= 0.2", MiningOptions(heads="levelwise")),
+    "rules_grown_without_bound": ("dense_order", DENSE, "body('big=y') and not confidence >= 0.3", MiningOptions(heads="levelwise")),
     "cust_profile_rules": ("cust_profile", Fraction(1, 10), "confidence >= 0.3", MiningOptions()),
 }
 

@@ -28,6 +28,8 @@ class MiningOptions:
     allow_empty: bool = False
     #: With ``dnf`` forms: keep itemsets and rules that several disjuncts produce.
     keep_duplicates: bool = False
+    #: ``auto``, ``splits`` or ``levelwise``: how rules are made from itemsets.
+    heads: str = "auto"
 
 
 def with_session_bounds(query: Expr, minsup: int, minconf: Fraction | None) -> Expr:
@@ -54,7 +56,7 @@ def query_rules(ds: Dataset, query: Expr, options: MiningOptions = MiningOptions
     rules = rule_disjuncts(query, options.normal, options.sort_by_support)
     sets = query_sets(ds, query, options, ledger)
     began, before = time.time(), ds.scans
-    found = rules_of(ds, sets_table(ds, sets), rules, kernel=options.kernel, allow_empty=options.allow_empty, strict=options.strict_confidence, negated_confidence=options.negated_confidence)
+    found = rules_of(ds, sets_table(ds, sets), rules, kernel=options.kernel, allow_empty=options.allow_empty, strict=options.strict_confidence, negated_confidence=options.negated_confidence, heads=options.heads)
     ledger.record(extra_scans=ds.scans - before, t_rules=time.time() - began)
     if options.normal != "ddnf" and not options.keep_duplicates:
         found = found.dropDuplicates(["body_items", "head_items"])

@@ -120,7 +120,7 @@ class Session:
         known, remember = self.table, None
         if self.strategy == "incremental":
             known, remember = sets_table(self.ds, self.store.supports), {}
-        rules = rules_of(self.ds, sets, rule_disjuncts(bounded, "ddnf", self.options.sort_by_support), known, self.options.kernel, self.options.allow_empty, self.options.strict_confidence, remember=remember)
+        rules = rules_of(self.ds, sets, rule_disjuncts(bounded, "ddnf", self.options.sort_by_support), known, self.options.kernel, self.options.allow_empty, self.options.strict_confidence, remember=remember, heads=self.options.heads)
         if remember:
             self.store.append(remember)
         self.answers = [*getattr(self, "answers", []), rules]
