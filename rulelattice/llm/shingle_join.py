@@ -51,6 +51,8 @@ RECALL = 0.999
 CROWD = 64
 #: Tables whose links bring copies together before all tables are searched.
 EARLY = 8
+#: Pairs that are verified together, on average.
+CELL = 2048
 #: Rows that are handed on at once.
 ROWS_AT_ONCE = 500_000
 SEED = 42
@@ -135,7 +137,11 @@ def _met(rows: DataFrame, others: DataFrame) -> DataFrame:
 
 
 def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> DataFrame:
-    """The pairs (a, b) that are alike on all their shingles."""
+    """The pairs (a, b) that are alike on all their shingles.
+
+    Pairs are dealt to square cells of about ``CELL``, by a block of texts for either side, so that a text's shingles
+    are sent once to a cell and not once for each of its pairs: a group of m texts costs m sets for each block.
+    """
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ths, found, held = [], [], 0
@@ -150,12 +156,40 @@ def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> Data
                 yield pa.RecordBatch.from_arrays([pa.array(ths, pa.int64()), pa.array(found, pa.list_(pa.int64()))], ["th", "s"])
 
     pairs = cut(pairs.distinct())
-    asked = pairs.select(F.col("a").alias("th")).unionByName(pairs.select(F.col("b").alias("th"))).distinct()
-    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked, "th", "left_semi").dropDuplicates(["th"])
+    blocks = max(1, math.ceil(math.sqrt(pairs.count() / CELL)))
+    block = lambda c: F.pmod(F.xxhash64(c), F.lit(blocks))
+    placed = pairs.withColumn("cell", block("a") * blocks + block("b"))
+    # A text with very many partners fills its cells: those are parted by pairs.
+    full = placed.groupBy("cell").agg(F.count("*").alias("_n")).where(F.col("_n") > 4 * CELL).select(F.shiftleft("cell", 0).alias("_c"), F.ceil(F.col("_n") / CELL).alias("_parts"))
+    part = F.pmod(F.xxhash64("b", "a"), F.coalesce("_parts", F.lit(1)))
+    placed = cut(placed.join(full, F.col("cell") == F.col("_c"), "left").select("a", "b", "cell", part.alias("part")))
+    asked = placed.select(F.explode(F.array("a", "b")).alias("th"), "cell", "part").distinct()
+    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked.select("th").distinct(), "th", "left_semi").dropDuplicates(["th"])
     sets = cut(texts.mapInArrow(rows, "th long, s array<long>"))
-    side = lambda x: sets.select(F.col("th").alias(x), F.col("s").alias(f"s{x}"))
-    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", F.size("sa").alias("na"), F.size("sb").alias("nb"), F.size(F.array_intersect("sa", "sb")).alias("i"))
-    return both.where(f"{ALIKE[1]} * i >= {ALIKE[0]} * (na + nb - i)").select("a", "b")
+    sent = asked.join(sets.select(F.col("th").alias("_t"), "s"), F.col("th") == F.col("_t")).select(F.shiftleft("cell", 0).alias("to"), F.shiftleft("part", 0).alias("of"), "th", "s")
+    return placed.groupBy("cell", "part").cogroup(sent.groupBy("to", "of")).applyInArrow(_verified, "a long, b long")
+
+
+def _verified(pairs: pa.Table, sent: pa.Table) -> pa.Table:
+    """The pairs of one cell that are alike; ``sent`` has each text's shingles, sorted as unsigned, once."""
+    sent = sent.combine_chunks()
+    th, held = sent["th"].to_numpy(), sent["s"].combine_chunks()
+    if isinstance(held, pa.ChunkedArray):
+        held = held.chunk(0)
+    starts, values = held.offsets.to_numpy(), held.values.to_numpy().view(np.uint64)
+    order = np.argsort(th)
+    a, b = (order[np.searchsorted(th[order], pairs[c].to_numpy())] for c in ("a", "b"))
+    n = np.diff(starts)
+    fits = np.flatnonzero(ALIKE[1] * np.minimum(n[a], n[b]) >= ALIKE[0] * np.maximum(n[a], n[b]))
+    fits = fits[np.argsort(a[fits], kind="stable")]
+    alike = []
+    for run in np.split(fits, np.flatnonzero(np.diff(a[fits])) + 1) if len(fits) else ():
+        own = values[starts[a[run[0]]] : starts[a[run[0]] + 1]]
+        others = np.concatenate([values[starts[x] : starts[x + 1]] for x in b[run].tolist()])
+        found = own[np.minimum(np.searchsorted(own, others), len(own) - 1)] == others
+        both = np.add.reduceat(found, np.r_[0, np.cumsum(n[b[run]])[:-1]], dtype=np.int64)
+        alike.append(run[ALIKE[1] * both >= ALIKE[0] * (len(own) + n[b[run]] - both)])
+    return pairs.select(["a", "b"]).take(pa.array(np.concatenate(alike) if alike else np.empty(0, np.int64)))
 
 
 def across(h: np.ndarray, root: np.ndarray, th: np.ndarray, n: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
