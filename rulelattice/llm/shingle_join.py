@@ -10,10 +10,12 @@ a key has a bounded number of unrelated texts at any size, and the tables are as
 similarity ``ALIKE`` needs to meet with the chance ``RECALL``. Of the pairs that meet, those whose distances to any
 pivot differ by more than ``RADIUS`` are discarded, then those that differ in more bits, and the others are verified.
 
-Under the first ``EARLY`` tables texts are compared with one of their key only. Once those links are joined to
-components, the search of all tables leaves out pairs within a component: texts that are not in the component of
-their key's first one are compared with all of the key outside their own, so that very many near copies of a
-text do not cost all their pairs. Both comparisons are joins whose hot keys can be split.
+Under the first ``EARLY`` tables texts are compared with one of their key only, and those links are joined to
+components, so that very many near copies of a text do not cost all their pairs. Then all tables are searched
+for links between components. The texts of a key are dealt to blocks and pairs of blocks to cells, except
+pairs of blocks that the key's largest component fills. A cell looks for pairs that no earlier table brings together,
+is sent the shingles of texts that have one, and hands on a spanning forest of the links it verifies.
+So rows grow with texts and cells, not with the pairs of a group whose members are alike, yet less than ``ALIKE``.
 
 Edge cases: texts without words (null, empty, blank) are alike; texts of fewer words than a shingle
 are one shingle; rows repeated with an id keep one row each; an empty table gives an empty result.
@@ -38,10 +40,8 @@ from rulelattice.llm.simhash import bit_counts, chosen, pivots
 ALIKE = (4, 5)
 WORDS = 5
 LANES = 4
-#: Lanes that are compared bit by bit, and the bits in which two texts at the similarity may differ there: of 128
-#: they differ in 20 on average, with a standard deviation of about 4.
-COMPARED = 2
-RADIUS = 42
+#: Bits in which two texts at the similarity may differ: of 256 they differ in 39 on average, with a standard deviation of about 6.
+RADIUS = 70
 PIVOTS = 4
 #: Share of bits in which two texts at the similarity differ: the angle whose cosine is 8 / 9, by pi.
 EDGE = math.acos(2 * ALIKE[0] / (ALIKE[0] + ALIKE[1])) / math.pi
@@ -53,9 +53,16 @@ CROWD = 64
 EARLY = 8
 #: Pairs that are verified together, on average.
 CELL = 2048
+#: Texts of a key that make a block, and shingles that a block holds, on average.
+BLOCK = 256
+HELD = 1_000_000
 #: Rows that are handed on at once.
 ROWS_AT_ONCE = 500_000
 SEED = 42
+PRINTS = [f"f{i}" for i in range(LANES)]
+#: Columns of a text under a key, and in a cell.
+KEYED = ["key", "th", *PRINTS, "n", "far", "own"]
+CELLED = ["key", "i", "j", "block", *KEYED[1:]]
 
 
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
@@ -81,13 +88,14 @@ def lanes(hashes: np.ndarray) -> list[int]:
 
 
 def _prints(docs: DataFrame, words: int, text_col: str) -> DataFrame:
-    """(th, f0, ...): every text's hash and fingerprints, once."""
-    names = [f"f{i}" for i in range(LANES)]
+    """(th, f0, ..., n): every text's hash, fingerprints and number of shingles, once."""
+    names = [*PRINTS, "n"]
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            table = np.array([lanes(shingles(text.as_py(), words)) for text in batch.column(1)], np.int64).reshape(-1, LANES)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(np.ascontiguousarray(table[:, i])) for i in range(LANES)]], ["th", *names])
+            found = (shingles(text.as_py(), words) for text in batch.column(1))
+            table = np.array([[*lanes(hashes), len(hashes)] for hashes in found], np.int64).reshape(-1, len(names))
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(np.ascontiguousarray(table[:, i])) for i in range(len(names))]], ["th", *names])
 
     made = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col)).mapInArrow(rows, "th long, " + ", ".join(f"{c} long" for c in names))
     return made.groupBy("th").agg(*[F.min(c).alias(c) for c in names])
@@ -99,27 +107,36 @@ def tables_for(texts: int) -> tuple[int, int]:
     return math.ceil(math.log(1 - RECALL) / math.log(1 - (1 - EDGE) ** bits)), bits
 
 
-def _keyed(prints: DataFrame, tables: int, bits: int, early: int | None = None) -> DataFrame:
-    """(key, th, f0, ..., far, own): a row for each table, or the ``early`` first ones, with the compared lanes
-    and the distances to the pivots, eight bits each; ``own`` is the text's component so far."""
+def drawn_bits(tables: int, bits: int) -> np.ndarray:
+    """The bits of each table, among those of all lanes."""
     rng = np.random.default_rng(11)
-    drawn = np.concatenate([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])[: (early or tables) * bits]
-    refs = pivots(PIVOTS * COMPARED).reshape(COMPARED, PIVOTS)
-    names = ["key", "th", *[f"f{i}" for i in range(COMPARED)], "far", "own"]
+    return np.stack([rng.choice(64 * LANES, bits, replace=False) for _ in range(tables)])
+
+
+def table_keys(prints: np.ndarray, drawn: np.ndarray) -> np.ndarray:
+    """Keys of fingerprints, a row of lanes each, in every table; the table stands above the bits of a key."""
+    tables, bits = drawn.shape
+    shown = np.unpackbits(np.ascontiguousarray(prints).view(np.uint8), axis=1, bitorder="little")
+    return shown[:, drawn.reshape(-1)].reshape(len(prints), tables, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64)) + (np.arange(tables, dtype=np.int64) << bits)
+
+
+def _keyed(prints: DataFrame, drawn: np.ndarray) -> DataFrame:
+    """(key, th, f0, ..., n, far, own): a row for each table, with the distances to the pivots, 16 bits each;
+    ``own`` is the text's component so far."""
+    refs = pivots(PIVOTS * LANES).reshape(LANES, PIVOTS)
+    used = len(drawn)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        used = len(drawn) // bits
         for whole in batches:
             step = max(1, ROWS_AT_ONCE // used)
             for start in range(0, whole.num_rows, step):
-                th, own, *fs = (c.to_numpy(zero_copy_only=False) for c in whole.slice(start, step).columns)
-                shown = np.unpackbits(np.stack(fs, axis=1).view(np.uint8), axis=1, bitorder="little")
-                keys = shown[:, drawn].reshape(len(th), used, bits) @ (np.int64(1) << np.arange(bits, dtype=np.int64)) + (np.arange(used, dtype=np.int64) << bits)
-                away = sum(np.bitwise_count(fs[i].view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int64) for i in range(COMPARED))
-                held = [keys.reshape(-1), *[np.repeat(c, used) for c in (th, *fs[:COMPARED], away @ (np.int64(1) << (8 * np.arange(PIVOTS, dtype=np.int64))), own)]]
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in held], names)
+                th, n, own, *fs = (c.to_numpy(zero_copy_only=False) for c in whole.slice(start, step).columns)
+                away = sum(np.bitwise_count(f.view(np.uint64)[:, None] ^ refs[i][None, :]).astype(np.int64) for i, f in enumerate(fs))
+                far = away @ (np.int64(1) << (16 * np.arange(PIVOTS, dtype=np.int64)))
+                held = [table_keys(np.stack(fs, axis=1), drawn).reshape(-1), *[np.repeat(c, used) for c in (th, *fs, n, far, own)]]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in held], KEYED)
 
-    return prints.select("th", "own", *[f"f{i}" for i in range(LANES)]).mapInArrow(rows, ", ".join(f"{c} long" for c in names))
+    return prints.select("th", "n", "own", *PRINTS).mapInArrow(rows, ", ".join(f"{c} long" for c in KEYED))
 
 
 def _met(rows: DataFrame, others: DataFrame) -> DataFrame:
@@ -128,20 +145,118 @@ def _met(rows: DataFrame, others: DataFrame) -> DataFrame:
     Both sides are dealt anew, so hot keys can be split.
     """
     other = others.toDF(*[f"o_{c}" for c in others.columns]).withColumn("o_key", F.shiftleft("o_key", 0))
-    pivot = lambda c, i: F.shiftright(c, 8 * i).bitwiseAND(F.lit(255))
+    pivot = lambda c, i: F.shiftright(c, 16 * i).bitwiseAND(F.lit(65535))
     near = F.col("own") != F.col("o_own")
     for i in range(PIVOTS):
         near &= F.abs(pivot("far", i) - pivot("o_far", i)) <= RADIUS
-    near &= sum((F.bit_count(F.col(f"f{i}").bitwiseXOR(F.col(f"o_f{i}"))) for i in range(COMPARED)), F.lit(0)) <= RADIUS
+    near &= sum((F.bit_count(F.col(f).bitwiseXOR(F.col(f"o_{f}"))) for f in PRINTS), F.lit(0)) <= RADIUS
     return rows.join(other, F.col("key") == F.col("o_key")).where(near).select(F.least("th", "o_th").alias("a"), F.greatest("th", "o_th").alias("b"))
 
 
-def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> DataFrame:
-    """The pairs (a, b) that are alike on all their shingles.
+def _cells(keyed: DataFrame) -> DataFrame:
+    """(key, i, j, block, th, ...): the rows of every cell, a pair of blocks i <= j of a key's texts.
 
-    Pairs are dealt to square cells of about ``CELL``, by a block of texts for either side, so that a text's shingles
-    are sent once to a cell and not once for each of its pairs: a group of m texts costs m sets for each block.
+    Where a key's largest component fills a block, its texts have blocks of their own, after the others; pairs
+    of those blocks have no cell. A key of one component has none at all.
     """
+    sizes = keyed.groupBy("key", "own").agg(F.count("*").alias("c"), F.sum("n").alias("s"))
+    of_key = sizes.groupBy("key").agg(F.max(F.struct("c", "s", "own")).alias("most"), F.sum("c").alias("c"), F.sum("s").alias("s")).where("c > most.c")
+    blocks = lambda c, s: F.ceil(F.greatest(c / F.lit(BLOCK), s / F.lit(HELD)))
+    led = F.when((F.col("most.c") > BLOCK) | (F.col("most.s") > HELD), blocks(F.col("most.c"), F.col("most.s"))).otherwise(0)
+    rest = blocks(F.col("c") - F.when(led > 0, F.col("most.c")).otherwise(0), F.col("s") - F.when(led > 0, F.col("most.s")).otherwise(0))
+    plan = of_key.select("key", F.col("most.own").alias("_lead"), rest.alias("_open"), led.alias("_led"))
+    placed = keyed.join(plan.select(F.shiftleft("key", 0).alias("_k"), "_lead", "_open", "_led"), F.col("key") == F.col("_k"))
+    dealt = F.xxhash64("th", F.lit(1))
+    leads = (F.col("own") == F.col("_lead")) & (F.col("_led") > 0)
+    block = F.when(leads, F.col("_open") + F.pmod(dealt, F.col("_led"))).otherwise(F.pmod(dealt, F.col("_open")))
+    last = F.when(leads, F.col("_open")).otherwise(F.col("_open") + F.col("_led")) - 1
+    sent = placed.withColumn("block", block).withColumn("to", F.explode(F.sequence(F.lit(0).cast("long"), last)))
+    return sent.select("key", F.least("block", "to").alias("i"), F.greatest("block", "to").alias("j"), "block", *KEYED[1:])
+
+
+def cell_pairs(rows: np.ndarray, drawn: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of positions in one cell, a row of ``CELLED`` each, that may be alike: of two components, of sizes that
+    allow it, let pass by the pivots and then by the bits, and brought together by no earlier table."""
+    key, i, j = rows[0, :3].tolist()
+    left = np.flatnonzero(rows[:, 3] == i)
+    right = left if i == j else np.flatnonzero(rows[:, 3] == j)
+    at = {c: (rows[left, k], rows[right, k]) for k, c in enumerate(CELLED)}
+    (own, o_own), (n, o_n), (far, o_far) = (at[c] for c in ("own", "n", "far"))
+    near = (own[:, None] != o_own) & (ALIKE[1] * np.minimum(n[:, None], o_n) >= ALIKE[0] * np.maximum(n[:, None], o_n))
+    for p in range(PIVOTS):
+        d, o_d = (far >> 16 * p) & 65535, (o_far >> 16 * p) & 65535
+        near &= np.abs(d[:, None] - o_d) <= RADIUS
+    a, b = (s[x] for s, x in zip((left, right), np.nonzero(near), strict=True))
+    if i == j:
+        a, b = a[a < b], b[a < b]
+    prints = rows[:, CELLED.index("f0") : CELLED.index("f0") + LANES]
+    close = np.bitwise_count((prints[a] ^ prints[b]).view(np.uint64)).sum(axis=1, dtype=np.int64) <= RADIUS
+    a, b = a[close], b[close]
+    if not len(a):
+        return a, b
+    before = table_keys(prints, drawn)[:, : key >> drawn.shape[1]]
+    new = ~(before[a] == before[b]).any(axis=1)
+    return a[new], b[new]
+
+
+def _partnered(drawn: np.ndarray):
+    """The rows of cells, which come sorted, that have a partner in their cell."""
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def kept(cells: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            found = [cell[np.unique(np.concatenate(cell_pairs(cell, drawn)))] for cell in cells if len(cell) > 1]
+            if found:
+                table = np.concatenate(found)
+                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(table[:, k])) for k in range(len(CELLED))], CELLED)
+
+        held = np.empty((0, len(CELLED)), np.int64)
+        for batch in batches:
+            held = np.concatenate([held, np.stack([c.to_numpy(zero_copy_only=False) for c in batch.columns], axis=1)])
+            *whole, held = np.split(held, np.flatnonzero((held[1:, :3] != held[:-1, :3]).any(axis=1)) + 1)
+            yield from kept(whole)
+        yield from kept([held])
+
+    return rows
+
+
+def _forest_of(drawn: np.ndarray):
+    """Links (a, b) that span what is alike in one cell; its rows have each text's shingles, sorted as unsigned."""
+    def rows(cell: pa.Table) -> pa.Table:
+        table = np.stack([cell[c].to_numpy() for c in CELLED], axis=1)
+        held = [s.values.to_numpy().view(np.uint64) for s in cell["s"]]
+        th, label = table[:, CELLED.index("th")], table[:, CELLED.index("own")].copy()
+        a, b = cell_pairs(table, drawn)
+        links = []
+        for x in np.unique(a).tolist():
+            others = b[a == x]
+            # Who has been linked by now, directly or not, is not compared again.
+            others = others[label[others] != label[x]]
+            if not len(others):
+                continue
+            own, sizes = held[x], np.array([len(held[y]) for y in others.tolist()])
+            said = np.concatenate([held[y] for y in others.tolist()])
+            both = np.add.reduceat(own[np.minimum(np.searchsorted(own, said), len(own) - 1)] == said, np.r_[0, np.cumsum(sizes)[:-1]], dtype=np.int64)
+            for y in others[ALIKE[1] * both >= ALIKE[0] * (len(own) + sizes - both)].tolist():
+                if label[y] != label[x]:
+                    label[label == label[y]] = label[x]
+                    links.append((th[x], th[y]))
+        out = np.array(links, np.int64).reshape(-1, 2)
+        return pa.table({"a": out.min(axis=1), "b": out.max(axis=1)})
+
+    return rows
+
+
+def _linked(keyed: DataFrame, drawn: np.ndarray, docs: DataFrame, words: int, text_col: str) -> DataFrame:
+    """Links (a, b) that, with those within components, span what is alike under the keys."""
+    long = ", ".join(f"{c} long" for c in CELLED)
+    cells = _cells(keyed).repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    asked = cut(cells.mapInArrow(_partnered(drawn), long))
+    sets = cut(_sets(docs, asked, words, text_col))
+    sent = asked.join(sets.select(F.col("th").alias("_t"), "s"), F.col("th") == F.col("_t")).select(*CELLED, "s")
+    return sent.groupBy("key", "i", "j").applyInArrow(_forest_of(drawn), "a long, b long")
+
+
+def _sets(docs: DataFrame, asked: DataFrame, words: int, text_col: str) -> DataFrame:
+    """(th, s): the shingles of the texts ``asked`` for, sorted as unsigned, once each."""
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ths, found, held = [], [], 0
@@ -155,6 +270,16 @@ def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> Data
             if ths:
                 yield pa.RecordBatch.from_arrays([pa.array(ths, pa.int64()), pa.array(found, pa.list_(pa.int64()))], ["th", "s"])
 
+    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked.select("th").distinct(), "th", "left_semi").dropDuplicates(["th"])
+    return texts.mapInArrow(rows, "th long, s array<long>")
+
+
+def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> DataFrame:
+    """The pairs (a, b) that are alike on all their shingles.
+
+    Pairs are dealt to square cells of about ``CELL``, by a block of texts for either side, so that a text's shingles
+    are sent once to a cell and not once for each of its pairs: a group of m texts costs m sets for each block.
+    """
     pairs = cut(pairs.distinct())
     blocks = max(1, math.ceil(math.sqrt(pairs.count() / CELL)))
     block = lambda c: F.pmod(F.xxhash64(c), F.lit(blocks))
@@ -164,8 +289,7 @@ def _alike(pairs: DataFrame, docs: DataFrame, words: int, text_col: str) -> Data
     part = F.pmod(F.xxhash64("b", "a"), F.coalesce("_parts", F.lit(1)))
     placed = cut(placed.join(full, F.col("cell") == F.col("_c"), "left").select("a", "b", "cell", part.alias("part")))
     asked = placed.select(F.explode(F.array("a", "b")).alias("th"), "cell", "part").distinct()
-    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked.select("th").distinct(), "th", "left_semi").dropDuplicates(["th"])
-    sets = cut(texts.mapInArrow(rows, "th long, s array<long>"))
+    sets = cut(_sets(docs, asked, words, text_col))
     sent = asked.join(sets.select(F.col("th").alias("_t"), "s"), F.col("th") == F.col("_t")).select(F.shiftleft("cell", 0).alias("to"), F.shiftleft("part", 0).alias("of"), "th", "s")
     return placed.groupBy("cell", "part").cogroup(sent.groupBy("to", "of")).applyInArrow(_verified, "a long, b long")
 
@@ -220,17 +344,13 @@ def across(h: np.ndarray, root: np.ndarray, th: np.ndarray, n: np.ndarray) -> It
 def near_roots(docs: DataFrame, words: int = WORDS, text_col: str = "text") -> DataFrame:
     """(node, root) for every text hash that links to another; root is its component's smallest hash."""
     prints = cut(_prints(docs, words, text_col))
-    size = tables_for(prints.count())
-    alone = _keyed(prints.withColumn("own", F.col("th")), *size, EARLY)
-    first = alone.groupBy("key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in alone.columns if c not in ("key", "th")]).where("_n > 1").drop("_n")
+    drawn = drawn_bits(*tables_for(prints.count()))
+    alone = _keyed(prints.withColumn("own", F.col("th")), drawn[:EARLY])
+    first = alone.groupBy("key").agg(F.min("th").alias("th"), F.count("*").alias("_n"), *[F.min_by(c, "th").alias(c) for c in KEYED if c not in ("key", "th")]).where("_n > 1").drop("_n")
     links = cut(_alike(_met(alone, first), docs, words, text_col))
     roots = components(links)
     rooted = prints.join(roots.select(F.col("node").alias("_n"), "root"), F.col("th") == F.col("_n"), "left").withColumn("own", F.coalesce("root", "th"))
-    keyed = _keyed(rooted, *size)
-    # Texts of one component need not meet: who is not in that of its key's first one meets all of the key.
-    lead = keyed.groupBy("key").agg(F.min_by("own", "th").alias("_lead")).select(F.shiftleft("key", 0).alias("_k"), "_lead")
-    open_ = keyed.join(lead, F.col("key") == F.col("_k")).where("own <> _lead").select(*keyed.columns)
-    more = cut(_alike(_met(keyed, open_), docs, words, text_col))
+    more = cut(_linked(_keyed(rooted, drawn), drawn, docs, words, text_col))
     return components(links.unionByName(more)) if more.head(1) else roots
 
 
