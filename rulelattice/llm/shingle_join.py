@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import cut, set_aside
+from rulelattice.llm.common import cut, set_aside, sifted
 from rulelattice.llm.components import components
 from rulelattice.llm.simhash import bit_counts, chosen, pivots
 
@@ -270,7 +270,8 @@ def _sets(docs: DataFrame, asked: DataFrame, words: int, text_col: str) -> DataF
             if ths:
                 yield pa.RecordBatch.from_arrays([pa.array(ths, pa.int64()), pa.array(found, pa.list_(pa.int64()))], ["th", "s"])
 
-    texts = docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")).join(asked.select("th").distinct(), "th", "left_semi").dropDuplicates(["th"])
+    texts, _ = sifted(docs.select(F.xxhash64(text_col).alias("th"), F.col(text_col).alias("t")), F.col("th"), asked.select("th"))
+    texts = texts.join(asked.select("th").distinct(), "th", "left_semi").dropDuplicates(["th"])
     return texts.mapInArrow(rows, "th long, s array<long>")
 
 
