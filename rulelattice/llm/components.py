@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulelattice.llm.common import cut
+from rulelattice.llm.common import cut_afresh
 
 
 def _renewed(node: Column) -> Column:
@@ -41,12 +41,12 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     ``links`` has two long columns a and b. Links of a node to itself, repeated ones and ones with a
     null are ignored; without links the result is empty.
     """
-    now = cut(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
+    now = cut_afresh(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     seen = _print_of(now)
     for _ in range(most_rounds):
         if not seen[0]:
             break
-        now = cut(_small_star(_large_star(now)))
+        now = cut_afresh(_small_star(_large_star(now)))
         got = _print_of(now)
         if got == seen:
             break
